@@ -100,3 +100,41 @@ def size_bounded_batches(batches, text_at: int, max_bytes: int = 4 << 20):
             to = max(at + 1, int(np.searchsorted(ends, ends[at] + max_bytes, "right")) - 1)
             yield batch.slice(at, to - at)
             at = to
+
+
+@contextlib.contextmanager
+def bounded_batches(spark: SparkSession, rows: int = 512):
+    """Few rows in one Arrow batch while a Python stage runs, as texts may be long."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
+def with_columns_of_text(df: DataFrame, text_col: str, fields: str, make) -> DataFrame:
+    """All columns of ``df`` and those of ``fields``, which ``make()(texts)`` gives as arrays in a Python stage.
+
+    Null texts reach it as None.  ``make`` runs once a task, on the worker.
+    """
+    from pyspark.sql.types import StructType
+
+    ship(df.sparkSession)
+    new = StructType.fromDDL(fields)
+    taken = {c.lower() for c in df.columns} & {f.name.lower() for f in new}
+    if taken:
+        df = df.drop(*[c for c in df.columns if c.lower() in taken])
+    at = df.columns.index(text_col)
+    schema = StructType([*df.schema.fields, *new.fields])
+
+    def run(batches):
+        import pyarrow as pa
+
+        columns_of = make()
+        for batch in size_bounded_batches(batches, at, 1 << 20):
+            arrays = columns_of(batch.column(at).to_pylist())
+            yield pa.RecordBatch.from_arrays([*batch.columns, *arrays], [f.name for f in schema])
+
+    return df.mapInArrow(run, schema)

@@ -7,8 +7,13 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, personal_data, sharding
-from .common import documents
+from . import fingerprints, language, media, packing, personal_data, sharding, token_files, tokens, toxicity
+from .common import bounded_batches, documents, keep, labels
+
+
+def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    images = token_files.write(documents(spark, sf_dir), tokens.model_path("byte_bpe_50k.json"))
+    return token_files.read(images)
 
 
 def op3_feistel_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -16,6 +21,27 @@ def op3_feistel_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir).select("doc_id", "text", "lang")
+    out = language.held_out(F.col("doc_id"))
+    model = language.fit(docs.filter(~F.coalesce(out, F.lit(False))))
+    with bounded_batches(spark):
+        found = keep(language.predict(docs.select("doc_id", "text"), model).select("doc_id", "lang_pred", "lang_score"), "languages")
+    return found.select("doc_id", out.alias("held_out"), "lang_pred", F.col("lang_score").alias("score"))
+
+
+def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(documents(spark, sf_dir), tokens.model_path("word_bpe_49k.json"), 2048)
+
+
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir).select("doc_id", "text")
+    model = toxicity.fit(toxicity.training_rows(docs, labels(spark, sf_dir)))
+    with bounded_batches(spark):
+        found = keep(toxicity.score(docs, model).select("doc_id", "toxicity"), "toxicity")
+    return found.select("doc_id", toxicity.held_out(F.col("doc_id")).alias("held_out"), F.col("toxicity").alias("score"), (F.col("toxicity") >= toxicity.THRESHOLD).cast("int").alias("predicted"))
+
+
 def op8_canonical_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = fingerprints.fingerprints(documents(spark, sf_dir))
     same = lambda x: (F.col("fp") == F.col(x)).cast("double")
@@ -29,12 +55,12 @@ def op9_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *(F.size(of(k)).cast("long").alias(f"n_{k}") for k in personal_data.BASE), F.sha2(base, 256).alias("base_sha256"), personal_data.described(F.col("spans")).alias("spans"))
 
 
+def op10_jpeg_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media.features(media.store(documents(spark, sf_dir)))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {
-        "op3_feistel_shards": op3_feistel_shards,
-        "op8_canonical_fingerprints": op8_canonical_fingerprints,
-        "op9_personal_data": op9_personal_data,
-    }
+    return {f.__name__: f for f in (op2_token_files, op3_feistel_shards, op4_language, op6_best_fit_packing, op7_toxicity, op8_canonical_fingerprints, op9_personal_data, op10_jpeg_columns)}
 
 
 def oracle_sql() -> dict[str, str]:
