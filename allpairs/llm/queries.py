@@ -7,10 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, language, media, packing, personal_data, sharding, token_files, tokens, toxicity
+from . import fingerprints, heavy_light, language, media, packing, personal_data, sharding, token_files, tokens, toxicity
 from .common import bounded_batches, documents, keep, labels
 
 
+def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return heavy_light.join(documents(spark, sf_dir), 3, heavy_light.Similarity(9, 10))
+
+
 def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     images = token_files.write(documents(spark, sf_dir), tokens.model_path("byte_bpe_50k.json"))
     return token_files.read(images)
@@ -60,7 +64,7 @@ def op10_jpeg_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_token_files, op3_feistel_shards, op4_language, op6_best_fit_packing, op7_toxicity, op8_canonical_fingerprints, op9_personal_data, op10_jpeg_columns)}
+    return {f.__name__: f for f in (op1_ngram_jaccard_join, op2_token_files, op3_feistel_shards, op4_language, op6_best_fit_packing, op7_toxicity, op8_canonical_fingerprints, op9_personal_data, op10_jpeg_columns)}
 
 
 def oracle_sql() -> dict[str, str]:
