@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, heavy_light, language, media, packing, personal_data, sharding, token_files, tokens, toxicity
+from . import fingerprints, heavy_light, language, media, packing, personal_data, pieces, sharding, token_files, tokens, toxicity
 from .common import bounded_batches, documents, keep, labels
 
 
@@ -34,6 +34,12 @@ def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", out.alias("held_out"), "lang_pred", F.col("lang_score").alias("score"))
 
 
+def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, n_tokens, ids_crc32 (unsigned, little-endian 32-bit ids) and whether decoding gives the text again."""
+    with bounded_batches(spark):
+        return keep(pieces.round_trips(documents(spark, sf_dir), tokens.model_path("piece_bpe_32k.model")), "round_trips")
+
+
 def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir), tokens.model_path("word_bpe_49k.json"), 2048)
 
@@ -64,7 +70,7 @@ def op10_jpeg_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_ngram_jaccard_join, op2_token_files, op3_feistel_shards, op4_language, op6_best_fit_packing, op7_toxicity, op8_canonical_fingerprints, op9_personal_data, op10_jpeg_columns)}
+    return {f.__name__: f for f in (op1_ngram_jaccard_join, op2_token_files, op3_feistel_shards, op4_language, op5_sentencepiece, op6_best_fit_packing, op7_toxicity, op8_canonical_fingerprints, op9_personal_data, op10_jpeg_columns)}
 
 
 def oracle_sql() -> dict[str, str]:
