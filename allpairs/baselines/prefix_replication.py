@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from ..measures import Measure, UnsupportedMeasure
 from ..model import expand_to_set
 from ..preprocess import element_frequency
+from ..workers import ship
 
 
 class OverBudget(RuntimeError):
@@ -82,6 +83,7 @@ def verify_indexed(copies: DataFrame, measure: Measure, t: float, inclusive: boo
     """The same inside one task for each key: records in order of size, each compared with those of the sizes it may pair with."""
     from pyspark.sql.types import DoubleType, StructField, StructType
 
+    ship(copies.sparkSession)
     kind = copies.schema["entity"].dataType
     schema = StructType([StructField("e1", kind), StructField("e2", kind), StructField("shared", DoubleType()), StructField("n1", DoubleType()), StructField("n2", DoubleType())])
     window = measure.len_range

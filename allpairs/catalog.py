@@ -83,15 +83,15 @@ def _measures() -> None:
         add(f"pairs_{m}_doc_shingles", _pairs("doc_shingles", m, 0.5), oracles.pairs("doc_shingles", m, 0.5))
     for m, w, t in (("jaccard", "order_parts", 0.5), ("dice_multiset", "conv_words", 0.5), ("cosine_multiset", "page_words", 0.7), ("ruzicka", "user_props", 0.3), ("ruzicka", "supp_parts", 0.1), ("ruzicka", "cust_parts", 0.1), ("ruzicka", "page_words", 0.5), ("jaccard", "doc_words", 0.5)):
         add(f"pairs_{m}_{w}", _pairs(w, m, t), oracles.pairs(w, m, t))
-    add("pairs_cosine_vector_user_props", _pairs("user_props", M.cosine("vector"), 0.8), oracles.pairs("user_props", "cosine_vector", 0.8))
+    add("pairs_cosine_vector_user_props", _pairs("user_props", M.cosine("vector"), 0.6), oracles.pairs("user_props", "cosine_vector", 0.6))
     add("pairs_cosine_signed_embeddings", _pairs("embeddings", M.cosine("vector", signed=True), 0.3), oracles.pairs("embeddings", "cosine_signed", 0.3))
-    add("pairs_cosine_magnitudes_embeddings", _pairs("embeddings", M.cosine("vector"), 0.8), oracles.pairs("embeddings", "cosine_vector", 0.8))
-    add("pairs_cosine_l1_user_props", _pairs("user_props", M.cosine("vector", norm="l1"), 0.03), oracles.pairs("user_props", "cosine_vector_l1", 0.03))
+    add("pairs_cosine_magnitudes_embeddings", _pairs("embeddings", M.cosine("vector"), 0.75), oracles.pairs("embeddings", "cosine_vector", 0.75))
+    add("pairs_cosine_l1_user_props", _pairs("user_props", M.cosine("vector", norm="l1"), 0.012), oracles.pairs("user_props", "cosine_vector_l1", 0.012))
     for m, t in (("overlap", 100), ("inner_product", 200), ("union_size", 2000)):
         add(f"pairs_{m}_doc_shingles", _pairs("doc_shingles", m, t), oracles.pairs("doc_shingles", m, t))
     add("pairs_symmetric_difference_doc_shingles", _pairs("doc_shingles", "symmetric_difference", 60), oracles.pairs("doc_shingles", "symmetric_difference", 60, distance=True))
     add("pairs_bray_curtis_doc_shingles", _pairs("doc_shingles", "bray_curtis", 0.5), oracles.pairs("doc_shingles", "bray_curtis", 0.5, distance=True))
-    add("pairs_squared_l2_user_props", _pairs("user_props", "squared_l2", 60), oracles.pairs("user_props", "squared_l2", 60, distance=True))
+    add("pairs_squared_l2_user_props", _pairs("user_props", "squared_l2", 90), oracles.pairs("user_props", "squared_l2", 90, distance=True))
     rewritten = decompose_disjunctive("union_direct", lambda a, b: F.greatest(a, b))
     add("pairs_decomposed_union_supp_parts", _pairs("supp_parts", rewritten, 20000), oracles.pairs("supp_parts", "union_size", 20000))
     add("symdiff_direct_supp_parts", lambda s, d: disjunctive_sums(WORKLOADS["supp_parts"](s, d), similarity_join(WORKLOADS["supp_parts"](s, d), "overlap", 1, unique=True), lambda a, b: F.abs(a - b)).select("e1", "e2", F.col("value").cast("double").alias("sim")), oracles.pairs("supp_parts", "symmetric_difference", 1e12, distance=True))
@@ -145,16 +145,15 @@ def _variants() -> None:
 
 
 def _baselines() -> None:
-    sql = oracles.pairs("doc_shingles", "jaccard", 0.5)
-
     def prefix(w: str, m: M.Measure, t: float, **options) -> Query:
         return lambda s, d: _rounded(prefix_replication(WORKLOADS[w](s, d), m, t, **options))
 
-    for name, options in (("frequency", {}), ("hash", {"order": "hash"}), ("grouped", {"grouping": 4096}), ("indexed", {"kernel": "indexed"}), ("distinct", {"dedup": "distinct"}), ("no_length_filter", {"filters": ()})):
-        add(f"baseline_prefix_{name}_doc_shingles", prefix("doc_shingles", M.jaccard(), 0.5, **options), sql)
+    for name, options in (("frequency", {}), ("hash", {"order": "hash"}), ("grouped", {"grouping": 1024}), ("indexed", {"kernel": "indexed"}), ("distinct", {"dedup": "distinct"}), ("no_length_filter", {"filters": ()})):
+        add(f"baseline_prefix_{name}_order_parts", prefix("order_parts", M.jaccard(), 0.5, **options), oracles.pairs("order_parts", "jaccard", 0.5))
+    add("baseline_prefix_frequency_doc_shingles", prefix("doc_shingles", M.jaccard(), 0.9), oracles.pairs("doc_shingles", "jaccard", 0.9))
     add("baseline_prefix_multiset_order_parts", prefix("order_parts", M.ruzicka(), 0.7), oracles.pairs("order_parts", "ruzicka", 0.7))
     for m in ("dice_set", "cosine_set"):
-        add(f"baseline_prefix_{m}_doc_shingles", prefix("doc_shingles", M.by_name(m), 0.7), oracles.pairs("doc_shingles", m, 0.7))
+        add(f"baseline_prefix_{m}_order_parts", prefix("order_parts", M.by_name(m), 0.7), oracles.pairs("order_parts", m, 0.7))
     add("baseline_prefix_jaccard_doc_words", prefix("doc_words", M.jaccard(), 0.8), oracles.pairs("doc_words", "jaccard", 0.8))
 
     def with_records(s, d):

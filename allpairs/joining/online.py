@@ -18,12 +18,14 @@ from pyspark.sql.types import LongType, StructField, StructType
 
 from ..measures import Measure
 from ..partials import totals_wanted, unilateral_totals
+from ..workers import ship
 
 
 def attach_online(raw: DataFrame, *measures: Measure, impl: str = "window", salt: int = 16, combiner: str = "native") -> DataFrame:
     wanted = totals_wanted(measures)
     if not wanted:
         return raw
+    ship(raw.sparkSession)
     if impl == "window":
         group = Window.partitionBy("entity")
         of = {name: m for m in measures for name in m.uni}
