@@ -9,9 +9,9 @@ so d + 1 of them suffice, and if that many are in no other set it links with non
 where the number of subsets plus the weighted number of list entries, taken from the counts of small
 sizes, is least.
 
-Rarity is counted twice, so that few rows move: once over all sets for a hash-chosen part of the
-shingles, which settles most sets (a set that lacks more than d of these alone links with none), and
-once over all shingles of the sets that are left.
+Rarity is counted three times, so that few rows move: over all sets for a hash-chosen part of the
+shingles, which settles most sets (one with more than d of these to itself links with none); over all
+shingles of the sets that are left; and again inside each cluster of sets that lists connect.
 
 A list isn't multiplied out.  First its sets are compared with one centre (the one with fewest
 shingles of its own); then only pairs of the list that are still in different components are.  So a
@@ -38,13 +38,14 @@ from allpairs.graph.components import components
 from .common import bounded_batches, forget, id_and_text, keep, ship, size_bounded_batches
 from .shingles import mixed, shingle_sets
 
-#: Part of all shingles, in 256ths, that the first count of rarity looks at: twice what a set may lack, and a little more.
+#: The first count of rarity looks at a part of all shingles: one and a half times what a set may lack, and half of this many 256ths.
 LOWEST_SHARE = 26
 #: What an entry of an inverted list costs against a listed subset, with the comparisons it brings.
 ENTRY_COST = 8
 #: Subsets are never cheaper for sets larger than this.
 MOST_LIGHT = 40
 NULL_ID = -(1 << 63)
+BITMAP_WORDS = 8
 
 
 @dataclass(frozen=True)
@@ -85,11 +86,18 @@ def _sets(docs: DataFrame, k: int, share: int | None) -> DataFrame:
             part = sets if share is None else [x[: np.searchsorted(x, np.uint64(share << 56))] for x in sets] if share < 256 else sets
             one = np.array([x.sum(dtype=np.uint64) for x in sets], np.uint64).view(np.int64)
             two = np.array([mixed(x ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64) for x in sets], np.uint64).view(np.int64)
+            bits = np.concatenate([toggled(x) for x in sets]) if share is None and sets else np.zeros(BITMAP_WORDS * len(sets), np.int64)
             flat = np.concatenate(part).view(np.int64) if part else np.empty(0, np.int64)
             offsets = np.cumsum([0, *map(len, part)], dtype=np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int64()), pa.array(one), pa.array(two), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))], ["doc_id", "n", "one", "two", "part"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int64()), pa.array(one), pa.array(two), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BITMAP_WORDS), pa.array(bits))], ["doc_id", "n", "one", "two", "part", "bits"])
 
-    return docs.mapInArrow(made, "doc_id long, n long, one long, two long, part array<long>")
+    return docs.mapInArrow(made, "doc_id long, n long, one long, two long, part array<long>, bits array<long>")
+
+
+def toggled(elements: np.ndarray) -> np.ndarray:
+    """A bitmap in which each element toggles one bit: two bitmaps differ in no more bits than their sets do in elements."""
+    odd = np.bincount((elements & np.uint64(64 * BITMAP_WORDS - 1)).astype(np.int64), minlength=64 * BITMAP_WORDS) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view("<i8")
 
 
 def subsets_listed(n: int, boundary: int, similar: Similarity) -> dict[tuple[int, int], int]:
@@ -134,9 +142,17 @@ def _subset_keys(light: DataFrame, boundary: int, similar: Similarity) -> DataFr
     return light.select("set_id", "n", "elements").mapInArrow(listed, "key long, set_id long, n long")
 
 
-def _counted(elements: DataFrame) -> DataFrame:
+def _counted(elements: DataFrame, *within: str) -> DataFrame:
     """Rows (e, set_id, ...) that share their shingle with another set, and in how many it is; a hot shingle has a row a set, two numbers wide, and its window spills."""
-    return elements.withColumn("f", F.count("*").over(Window.partitionBy("e"))).filter("f > 1")
+    return elements.withColumn("f", F.count("*").over(Window.partitionBy(*within, "e"))).filter("f > 1")
+
+
+def _entries(full: DataFrame, own: Column, name: str) -> DataFrame:
+    """cluster, key, set_id, n, u: each set under its rarest shared shingles, as many as it needs besides the u that only it has."""
+    shared = _counted(full.select("cluster", "set_id", "n", F.explode("elements").alias("e")), "cluster")
+    of_set = Window.partitionBy("set_id", "n")
+    ranked = shared.withColumn("u", F.col("n") - F.count("*").over(of_set)).withColumn("rank", F.row_number().over(of_set.orderBy("f", "e")))
+    return keep(ranked.filter(F.col("rank") <= own - F.col("u")).select("cluster", F.col("e").alias("key"), "set_id", "n", "u"), name)
 
 
 def _verified(pairs: DataFrame, full: DataFrame, similar: Similarity) -> DataFrame:
@@ -147,11 +163,13 @@ def _verified(pairs: DataFrame, full: DataFrame, similar: Similarity) -> DataFra
 
 
 def _pairs(left: DataFrame, right: DataFrame, different: Column, boundary: int, similar: Similarity) -> DataFrame:
-    """Pairs of a list that may link: sizes fit, each lacks few enough of its own shingles, and the path is the one for their sizes."""
+    """Pairs of a list that may link: sizes fit, each lacks few enough of its own shingles, their bitmaps differ in few enough bits, and the path is the one for their sizes."""
     low, high = F.least("l.n", "r.n"), F.greatest("l.n", "r.n")
     may = (low * similar.den >= high * similar.num) & (F.least(F.col("l.n") - F.col("l.u"), F.col("r.n") - F.col("r.u")) >= similar.needs(F.col("l.n"), F.col("r.n")))
     path = F.col("l.light") == (high <= boundary)
-    on = (F.col("l.light") == F.col("r.light")) & (F.col("l.key") == F.col("r.key")) & different & may & path
+    differ = sum((F.bit_count(F.col("l.bits")[k].bitwiseXOR(F.col("r.bits")[k])) for k in range(BITMAP_WORDS)), F.lit(0))
+    may = may & (differ <= F.col("l.n") + F.col("r.n") - 2 * similar.needs(F.col("l.n"), F.col("r.n")))
+    on = (F.col("l.light") == F.col("r.light")) & (F.col("l.cluster") == F.col("r.cluster")) & (F.col("l.key") == F.col("r.key")) & different & may & path
     return left.alias("l").join(right.alias("r"), on).select(F.least("l.set_id", "r.set_id").alias("a"), F.greatest("l.set_id", "r.set_id").alias("b")).distinct()
 
 
@@ -160,7 +178,7 @@ def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id
     spark = docs.sparkSession
     ship(spark)
     rows = id_and_text(docs, id_col, text_col).withColumn("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)))
-    share = min(256, max(LOWEST_SHARE, 256 * 2 * (similar.den - similar.num) // similar.den))
+    share = min(256, max(LOWEST_SHARE, 256 * 3 * (similar.den - similar.num) // (2 * similar.den) + LOWEST_SHARE // 2))
     with bounded_batches(spark):
         sets = keep(_sets(rows, k, share), "sets")
     digest = ["n", "one", "two"]
@@ -172,23 +190,27 @@ def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id
     sizes = distinct_sets.select(F.col("doc_id").alias("set_id"), "n", F.size("part").alias("of"))
     left_over = keep(sizes.join(seen, "set_id", "left").filter(F.col("of") - F.coalesce("s", F.lit(0)) < own).select("set_id", "n").distinct(), "left_over")
 
+    narrow = keep(sets.select("doc_id", *digest), "set_digests")
+    forget(sets)
     again = rows.join(left_over.select(F.col("set_id").alias("doc_id")).distinct(), "doc_id", "left_semi")
     with bounded_batches(spark):
-        full = keep(_sets(again, k, None).join(left_over.select(F.col("set_id").alias("doc_id"), "n").distinct(), ["doc_id", "n"], "left_semi").select(F.col("doc_id").alias("set_id"), "n", F.col("part").alias("elements")).dropDuplicates(["set_id", "n"]), "full_sets")
+        full = keep(_sets(again, k, None).join(left_over.select(F.col("set_id").alias("doc_id"), "n").distinct(), ["doc_id", "n"], "left_semi").select(F.col("doc_id").alias("set_id"), "n", F.col("part").alias("elements"), "bits").dropDuplicates(["set_id", "n"]), "full_sets")
     if boundary is None:
         small = full.filter(F.col("n") <= MOST_LIGHT).groupBy("n").count().collect()
         boundary = choose_boundary({r["n"]: r["count"] for r in small}, similar)
 
-    shared = _counted(full.select("set_id", "n", F.explode("elements").alias("e")))
-    of_set = Window.partitionBy("set_id", "n")
-    ranked = shared.withColumn("u", F.col("n") - F.count("*").over(of_set)).withColumn("rank", F.row_number().over(of_set.orderBy("f", "e")))
-    entries = ranked.filter(F.col("rank") <= own - F.col("u")).select(F.col("e").alias("key"), "set_id", "n", "u", F.lit(False).alias("light"))
+    entries = _entries(full.withColumn("cluster", F.lit(0).cast("long")), own, "entries_first")
+    # sets that share no list can't link, so rarity may be counted again inside each cluster of lists: what is shared by accident only is then rare
+    least = entries.groupBy("cluster", "key").agg(F.min("set_id").alias("b"), F.count("*").alias("size")).filter("size > 1").select("cluster", "key", "b")
+    edges = entries.join(least, ["cluster", "key"]).filter("set_id <> b").select(F.col("set_id").alias("a"), "b").distinct()
+    clusters = keep(components(edges, partial(keep, name="clusters"), "a", "b").select(F.col("node").alias("set_id"), F.col("component").alias("cluster")).distinct(), "clustered")
+    entries = _entries(full.join(clusters, "set_id"), own, "entries")
     with bounded_batches(spark, 4096):
-        listed = _subset_keys(full.filter(F.col("n") <= boundary), boundary, similar).select("key", "set_id", "n", F.lit(0).cast("long").alias("u"), F.lit(True).alias("light"))
-        lists = keep(entries.unionByName(listed), "lists")
+        listed = _subset_keys(full.filter(F.col("n") <= boundary), boundary, similar).select(F.lit(0).cast("long").alias("cluster"), "key", "set_id", "n", F.lit(0).cast("long").alias("u"), F.lit(True).alias("light"))
+        lists = keep(entries.withColumn("light", F.lit(False)).unionByName(listed).join(full.select("set_id", "n", "bits"), ["set_id", "n"]), "lists")
 
-    by_list = ["light", "key"]
-    centres = lists.groupBy(*by_list).agg(F.min(F.struct("u", "set_id", "n")).alias("c"), F.count("*").alias("size")).filter("size > 1").select(*by_list, "c.*")
+    by_list = ["light", "cluster", "key"]
+    centres = lists.groupBy(*by_list).agg(F.min(F.struct("u", "set_id", "n")).alias("c"), F.count("*").alias("size")).filter("size > 1").select(*by_list, "c.*").join(full.select("set_id", "n", "bits"), ["set_id", "n"])
     tried = keep(_pairs(lists, centres, F.col("l.set_id") != F.col("r.set_id"), boundary, similar), "centre_pairs")
     links = keep(_verified(tried, full, similar), "centre_links")
     hold = partial(keep, name="stars")
@@ -201,7 +223,7 @@ def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id
     more = keep(_verified(rest, full, similar), "cross_links")
     labels = keep(components(links.unionByName(more), hold, "a", "b"), "components")
 
-    placed = sets.select("doc_id", *digest).join(groups, digest, "left").join(labels.withColumnRenamed("node", "set_id"), "set_id", "left")
+    placed = narrow.join(groups, digest, "left").join(labels.withColumnRenamed("node", "set_id"), "set_id", "left")
     component = F.coalesce("component", "set_id", "doc_id")
     real = lambda c: F.when(c != NULL_ID, c)
     return placed.select(real(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), real(component).alias("component_id"))
