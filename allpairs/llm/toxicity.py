@@ -23,7 +23,9 @@ BITS = 18
 #: Labelled rows of each class that are learned from, chosen by a hash of their id.
 MOST_OF_A_CLASS = 2_000
 #: n-grams of fewer training texts are left out.
-LEAST_TEXTS = 4
+LEAST_TEXTS = 3
+#: And so are those that say little: whose log-count ratio is nearer to 0.
+LEAST_RATIO = 1.0
 RIDGE = 1.0
 THRESHOLD = 0.7
 
@@ -75,14 +77,13 @@ def fit(rows: DataFrame) -> ToxicityModel:
 
 
 def _trained(index: np.ndarray, lens: np.ndarray, y: np.ndarray, rounds: int = 60) -> ToxicityModel:
-    row = np.repeat(np.arange(len(y)), lens)
     size = 1 << BITS
-    common = np.bincount(index, minlength=size) >= LEAST_TEXTS
-    stays = common[index]
-    index, row = index[stays], row[stays]
-    p = np.bincount(index, y[row], size) + 1
-    q = np.bincount(index, 1 - y[row], size) + 1
-    ratio = np.where(common, np.log((p / (y.sum() + 2)) / (q / ((1 - y).sum() + 2))), 0)
+    texts = np.bincount(index, minlength=size)
+    toxic = np.bincount(index[np.repeat(y > 0, lens)], minlength=size)
+    ratio = np.log(((toxic + 1) / (y.sum() + 2)) / ((texts - toxic + 1) / ((1 - y).sum() + 2)))
+    ratio[(texts < LEAST_TEXTS) | (np.abs(ratio) < LEAST_RATIO)] = 0
+    stays = ratio[index] != 0
+    index, row = index[stays], np.repeat(np.arange(len(y), dtype=np.int32), lens)[stays]
     each = np.where(y > 0, 0.5 / y.sum(), 0.5 / (1 - y).sum()) * len(y)  # both classes weigh the same
 
     value = ratio[index]
