@@ -75,9 +75,9 @@ def _pieces(docs: DataFrame, model: str, room: int, end_id: int) -> DataFrame:
             first += len(fill)
             return out
 
-        for batch in size_bounded_batches(batches, 1):
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = enc.encode(text) + end
+        for batch in size_bounded_batches(batches, 1, 1 << 20):
+            for doc_id, ids in zip(batch.column(0).to_pylist(), enc.encode(batch.column(1).to_pylist()), strict=True):
+                ids += end
                 for k in range(0, len(ids), 4 * room):
                     part = ids[k : k + 4 * room]
                     rows.append((doc_id, k // (4 * room), k // 4, len(part) // 4, zlib.crc32(part)))

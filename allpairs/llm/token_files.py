@@ -117,9 +117,9 @@ def write(docs: DataFrame, model: str, end_id: int = 0, id_col: str = "doc_id",
             image = write_image(doc_ids, lengths, np.frombuffer(b"".join(parts), "<u4"), bits)
             return pa.RecordBatch.from_pylist([{"part": part, "seq": seq, "at": at, "n_ids": n, "n_docs": len(doc_ids), "image": image}], schema=pa.schema([("part", pa.int32()), ("seq", pa.int32()), ("at", pa.int64()), ("n_ids", pa.int64()), ("n_docs", pa.int64()), ("image", pa.binary())]))
 
-        for batch in size_bounded_batches(batches, 1):
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = enc.encode(text) + end
+        for batch in size_bounded_batches(batches, 1, 1 << 20):
+            for doc_id, ids in zip(batch.column(0).to_pylist(), enc.encode(batch.column(1).to_pylist()), strict=True):
+                ids += end
                 doc_ids.append(NO_ID if doc_id is None else doc_id)
                 lengths.append(len(ids) // 4)
                 parts.append(ids)
