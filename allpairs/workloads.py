@@ -11,7 +11,6 @@ from .functions.text import ngrams, words
 from .model import raw_from, to_long
 from .sources.tables import read_table
 
-_ONE = F.lit(1)
 
 
 def _tokens(df: DataFrame, entity: str, text: str) -> DataFrame:
