@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, keep, ship, size_bounded_batches, with_columns_of_text
+from .common import bounded_batches, ship, size_bounded_batches, with_columns_of_text
 from .ngrams import Grams
 
 ORDERS = (1, 2, 3)
@@ -67,8 +67,8 @@ def fit(labelled: DataFrame, most_documents: int = MOST_DOCUMENTS, id_col: str =
         yield pa.RecordBatch.from_arrays([pa.array(lang, pa.int32()), pa.array(bucket, pa.int32()), pa.array(total[lang, bucket])], ["lang", "bucket", "n"])
 
     with bounded_batches(spark):
-        summed = keep(sample.select("text", "lang").mapInArrow(counted, "lang int, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")), "gram_counts")
-    found = summed.toArrow()
+        # one count for each language and bucket that occurs: bounded by their numbers
+        found = sample.select("text", "lang").mapInArrow(counted, "lang int, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
     seen = np.zeros((len(languages), len(ORDERS) << BITS))
     seen[found["lang"].to_numpy(), found["bucket"].to_numpy()] = found["n"].to_numpy()
     by_order = seen.reshape(len(languages), len(ORDERS), 1 << BITS) + SMOOTHING

@@ -66,8 +66,9 @@ def fit(rows: DataFrame) -> ToxicityModel:
         return lambda texts: [pa.array([f.astype(np.int32) for f in _features(Grams(texts, max(ORDERS)))], pa.list_(pa.int32()))]
 
     with bounded_batches(rows.sparkSession):
-        kept = keep(with_columns_of_text(rows.select("doc_id", "text", "toxic"), "text", "buckets array<int>", make).select("doc_id", "toxic", "buckets"), "training")
-    table = kept.orderBy("doc_id").select("toxic", "buckets").toArrow().combine_chunks()
+        featured = with_columns_of_text(rows.select("doc_id", "text", "toxic"), "text", "buckets array<int>", make)
+        # bounded by the sample; in the order of ids, so that fits don't depend on how tasks were cut
+        table = featured.select("doc_id", "toxic", "buckets").toArrow().sort_by("doc_id").select(["toxic", "buckets"]).combine_chunks()
     y = table["toxic"].to_numpy().astype(float)
     if len(y) == 0 or y.min() == y.max():
         return ToxicityModel(-30.0, np.zeros(1 << BITS, np.float32))
