@@ -93,9 +93,9 @@ def _with_digest(rows: DataFrame, text: str, name: str, ranks: DataFrame | None,
 def _several_in_a_bucket(rows: DataFrame, narrow: DataFrame, wide) -> DataFrame | None:
     """Byte comparison inside hash buckets of two rows or more: canonical texts that share a bucket with different ones, ranked; None if there are none."""
     shared = narrow.groupBy("fp").count().filter("count > 1").select("fp")
-    ids = narrow.join(shared, "fp", "left_semi").select("doc_id").distinct()
+    ids = narrow.join(shared, "fp", "left_semi").select(F.col("doc_id").alias("_id")).distinct()
     # equal bytes fall together before the shuffle, so a large group of copies moves as one row a task
-    texts = rows.join(ids, "doc_id", "left_semi").select(canonical(F.col("text")).alias("canon")).select(wide(F.col("canon")).alias("key"), "canon").distinct()
+    texts = rows.join(ids, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi").select(canonical(F.col("text")).alias("canon")).select(wide(F.col("canon")).alias("key"), "canon").distinct()
     clashes = keep(texts.groupBy("key").count().filter("count > 1").select("key"), "clashes")
     if clashes.isEmpty():
         return None
