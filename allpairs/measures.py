@@ -107,8 +107,8 @@ def cosine(kind: str = "set", norm: str = "l2", signed: bool = False) -> Measure
         return Measure(f"cosine_{kind}", (total,), {"o": shared}, lambda c, a, b: _d(c["o"]) / F.sqrt(_d(a[total]) * _d(b[total])), _ratio_bound(total, lambda x, y: F.sqrt(x / y)), **_COSINE, sets=kind == "set")
     product = _product if signed else lambda f, g: F.abs(f) * F.abs(g)
     if norm == "l1":
-        return Measure("cosine_vector_l1", ("l1",), {"dot": product}, lambda c, a, b: _d(c["dot"]) / (_d(a["l1"]) * _d(b["l1"])), signed=signed, digits=9, totals={"l1": lambda f: F.sum(F.abs(f))})
-    return Measure("cosine_vector", ("sumsq",), {"dot": product}, lambda c, a, b: _d(c["dot"]) / F.sqrt(_d(a["sumsq"]) * _d(b["sumsq"])), signed=signed, digits=9)
+        return Measure("cosine_vector_l1", ("l1",), {"dot": product}, lambda c, a, b: _d(c["dot"]) / (_d(a["l1"]) * _d(b["l1"])), signed=True, digits=9, totals={"l1": lambda f: F.sum(F.abs(f))})
+    return Measure("cosine_vector", ("sumsq",), {"dot": product}, lambda c, a, b: _d(c["dot"]) / F.sqrt(_d(a["sumsq"]) * _d(b["sumsq"])), signed=True, digits=9)
 
 
 def overlap() -> Measure:

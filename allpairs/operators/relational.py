@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -70,7 +71,7 @@ def _raw_source(s, d):
 
 @op("joined_bucketed", oracles.joined("user_props", "card"))
 def _bucketed(s, d):
-    return write_joined(attach(WORKLOADS["user_props"](s, d), ruzicka()), "allpairs_joined_user_props", 8).select("entity", "element", "mult", "uni_card")
+    return write_joined(attach(WORKLOADS["user_props"](s, d), ruzicka()), "allpairs_joined_user_props", 8, scratch(s, f"joined_{uuid.uuid4().hex}")).select("entity", "element", "mult", "uni_card")
 
 
 @op("pairs_banded", oracles.pairs("doc_shingles", "ruzicka", 0.8))

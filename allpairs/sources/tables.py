@@ -35,9 +35,10 @@ def register_views(spark: SparkSession, where: str) -> list[str]:
     return list(TABLES)
 
 
-def write_joined(joined: DataFrame, table: str, buckets: int = 64) -> DataFrame:
-    """Joined rows bucketed on the element, so that later index runs need no shuffle."""
-    joined.write.mode("overwrite").bucketBy(buckets, "element").sortBy("element").saveAsTable(table)
+def write_joined(joined: DataFrame, table: str, buckets: int = 64, path: str | None = None) -> DataFrame:
+    """Joined rows bucketed on the element, so that later index runs need no shuffle; at ``path`` if one is given."""
+    where = {"path": path} if path else {}
+    joined.write.mode("overwrite").options(**where).bucketBy(buckets, "element").sortBy("element").saveAsTable(table)
     return joined.sparkSession.table(table)
 
 
