@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType
 
@@ -64,8 +65,6 @@ def _own_measure(s, d):
 def _arrow_measure(s, d):
     """The same with the per-element function in Python, batch by batch."""
     ship(s)
-    import pandas as pd
-
     @F.pandas_udf(LongType())
     def lesser(a: pd.Series, b: pd.Series) -> pd.Series:
         return a.where(a < b, b)
@@ -76,8 +75,6 @@ def _arrow_measure(s, d):
 
 def _grouped_aggregate(s, d):
     ship(s)
-    import pandas as pd
-
     @F.pandas_udf(LongType())
     def total(x: pd.Series) -> int:
         return int(x.sum())
