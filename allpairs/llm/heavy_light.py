@@ -75,8 +75,8 @@ def _ceil(x: Column, y: int) -> Column:
     return ((up - F.pmod(up, F.lit(y))) / y).cast("long")
 
 
-def _sets(docs: DataFrame, k: int, share: int | None) -> DataFrame:
-    """doc_id, n, two digests, and the chosen part of each document's shingles (all if share is None)."""
+def _sets(docs: DataFrame, k: int, share: int | None, counts_only: bool = False) -> DataFrame:
+    """doc_id, n, two digests, the chosen part of each document's shingles (all if share is None; left empty if only counts are wanted) and its size."""
 
     def made(batches: Iterator) -> Iterator:
         import pyarrow as pa
@@ -86,12 +86,15 @@ def _sets(docs: DataFrame, k: int, share: int | None) -> DataFrame:
             part = sets if share is None else [x[: np.searchsorted(x, np.uint64(share << 56))] for x in sets] if share < 256 else sets
             one = np.array([x.sum(dtype=np.uint64) for x in sets], np.uint64).view(np.int64)
             two = np.array([mixed(x ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64) for x in sets], np.uint64).view(np.int64)
+            of = [len(x) for x in part]
+            if counts_only:
+                part = [x[:0] for x in part]
             bits = np.concatenate([toggled(x) for x in sets]) if share is None and sets else np.zeros(BITMAP_WORDS * len(sets), np.int64)
             flat = np.concatenate(part).view(np.int64) if part else np.empty(0, np.int64)
             offsets = np.cumsum([0, *map(len, part)], dtype=np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int64()), pa.array(one), pa.array(two), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BITMAP_WORDS), pa.array(bits))], ["doc_id", "n", "one", "two", "part", "bits"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int64()), pa.array(one), pa.array(two), pa.array(of, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BITMAP_WORDS), pa.array(bits))], ["doc_id", "n", "one", "two", "of", "part", "bits"])
 
-    return docs.mapInArrow(made, "doc_id long, n long, one long, two long, part array<long>, bits array<long>")
+    return docs.mapInArrow(made, "doc_id long, n long, one long, two long, of long, part array<long>, bits array<long>")
 
 
 def toggled(elements: np.ndarray) -> np.ndarray:
@@ -179,19 +182,21 @@ def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id
     ship(spark)
     rows = id_and_text(docs, id_col, text_col).withColumn("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)))
     share = min(256, max(LOWEST_SHARE, 256 * 3 * (similar.den - similar.num) // (2 * similar.den) + LOWEST_SHARE // 2))
-    with bounded_batches(spark):
-        sets = keep(_sets(rows, k, share), "sets")
     digest = ["n", "one", "two"]
-    groups = keep(sets.filter("n > 0").groupBy(*digest).agg(F.min("doc_id").alias("set_id")), "set_groups")
+    with bounded_batches(spark):
+        narrow = keep(_sets(rows, k, share, counts_only=True).select("doc_id", *digest, "of"), "set_digests")
+    groups = keep(narrow.filter("n > 0").groupBy(*digest).agg(F.min("doc_id").alias("set_id"), F.min("of").alias("of")), "set_groups")
 
+    # shingles are made a second time rather than kept: they take more room than the texts
     own = F.lit(1) + similar.lacks(F.col("n"))
-    distinct_sets = sets.join(groups.select(F.col("set_id").alias("doc_id"), *digest), ["doc_id", *digest], "left_semi")
-    seen = _counted(distinct_sets.select(F.col("doc_id").alias("set_id"), F.explode("part").alias("e"))).groupBy("set_id").agg(F.count("*").alias("s"))
-    sizes = distinct_sets.select(F.col("doc_id").alias("set_id"), "n", F.size("part").alias("of"))
-    left_over = keep(sizes.join(seen, "set_id", "left").filter(F.col("of") - F.coalesce("s", F.lit(0)) < own).select("set_id", "n").distinct(), "left_over")
+    one_each = groups.select(F.col("set_id").alias("doc_id"), *digest)
+    with bounded_batches(spark):
+        chosen = _sets(rows, k, share).select("doc_id", *digest, "part").join(one_each, ["doc_id", *digest], "left_semi").select("doc_id", F.explode("part").alias("e"))
+        seen = chosen.groupBy("e").agg(F.count("*").alias("f"), F.min("doc_id").alias("set_id")).filter("f = 1").groupBy("set_id").agg(F.count("*").alias("u"))
+        several = F.count("*").over(Window.partitionBy("set_id")) > 1  # an id with several texts: which of them has the u isn't known
+        sizes = groups.select("set_id", "n", several.alias("several"))
+        left_over = keep(sizes.join(seen, "set_id", "left").filter(F.col("several") | (F.coalesce("u", F.lit(0)) < own)).select("set_id", "n").distinct(), "left_over")
 
-    narrow = keep(sets.select("doc_id", *digest), "set_digests")
-    forget(sets)
     again = rows.join(left_over.select(F.col("set_id").alias("doc_id")).distinct(), "doc_id", "left_semi")
     with bounded_batches(spark):
         full = keep(_sets(again, k, None).join(left_over.select(F.col("set_id").alias("doc_id"), "n").distinct(), ["doc_id", "n"], "left_semi").select(F.col("doc_id").alias("set_id"), "n", F.col("part").alias("elements"), "bits").dropDuplicates(["set_id", "n"]), "full_sets")
@@ -199,11 +204,12 @@ def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id
         small = full.filter(F.col("n") <= MOST_LIGHT).groupBy("n").count().collect()
         boundary = choose_boundary({r["n"]: r["count"] for r in small}, similar)
 
-    entries = _entries(full.withColumn("cluster", F.lit(0).cast("long")), own, "entries_first")
+    first = _entries(full.withColumn("cluster", F.lit(0).cast("long")), own, "entries_first")
     # sets that share no list can't link, so rarity may be counted again inside each cluster of lists: what is shared by accident only is then rare
-    least = entries.groupBy("cluster", "key").agg(F.min("set_id").alias("b"), F.count("*").alias("size")).filter("size > 1").select("cluster", "key", "b")
-    edges = entries.join(least, ["cluster", "key"]).filter("set_id <> b").select(F.col("set_id").alias("a"), "b").distinct()
+    least = first.groupBy("cluster", "key").agg(F.min("set_id").alias("b"), F.count("*").alias("size")).filter("size > 1").select("cluster", "key", "b")
+    edges = first.join(least, ["cluster", "key"]).filter("set_id <> b").select(F.col("set_id").alias("a"), "b").distinct()
     clusters = keep(components(edges, partial(keep, name="clusters"), "a", "b").select(F.col("node").alias("set_id"), F.col("component").alias("cluster")).distinct(), "clustered")
+    forget(first)
     entries = _entries(full.join(clusters, "set_id"), own, "entries")
     with bounded_batches(spark, 4096):
         listed = _subset_keys(full.filter(F.col("n") <= boundary), boundary, similar).select(F.lit(0).cast("long").alias("cluster"), "key", "set_id", "n", F.lit(0).cast("long").alias("u"), F.lit(True).alias("light"))
@@ -223,7 +229,7 @@ def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id
     more = keep(_verified(rest, full, similar), "cross_links")
     labels = keep(components(links.unionByName(more), hold, "a", "b"), "components")
 
-    placed = narrow.join(groups, digest, "left").join(labels.withColumnRenamed("node", "set_id"), "set_id", "left")
+    placed = narrow.join(groups.select(*digest, "set_id"), digest, "left").join(labels.withColumnRenamed("node", "set_id"), "set_id", "left")
     component = F.coalesce("component", "set_id", "doc_id")
     real = lambda c: F.when(c != NULL_ID, c)
     return placed.select(real(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), real(component).alias("component_id"))
