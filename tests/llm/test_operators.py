@@ -174,6 +174,13 @@ def test_jaccard_join_odd_rows(odd):
     assert heavy_light.join(odd.limit(0)).count() == 0
 
 
+def test_jaccard_join_of_an_id_with_several_texts(spark):
+    linked, alone = " ".join(f"a{k}" for k in range(40)), " ".join(f"b{k}" for k in range(90))
+    docs = [(1, linked), (1, alone), (2, linked + " more"), (3, " ".join(f"c{k}" for k in range(30)))]
+    found = heavy_light.join(spark.createDataFrame(docs, "doc_id long, text string"), 3, heavy_light.Similarity(9, 10))
+    assert sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in found.collect()) == [(1, 38, 1), (1, 88, 1), (2, 39, 1), (3, 28, 3)]
+
+
 def test_boundary_follows_cost():
     s = heavy_light.Similarity(9, 10)
     assert heavy_light.choose_boundary({}, s) == 0
