@@ -94,7 +94,7 @@ def _table_function(s, d):
                     yield a, b
 
     s.udtf.register("pairs_of", PairsOf)
-    lists = WORKLOADS["supp_parts"](s, d).filter("element % 10 = 0").groupBy("element").agg(F.sort_array(F.collect_list("entity")).alias("ids"))
+    lists = WORKLOADS["supp_parts"](s, d).groupBy("element").agg(F.sort_array(F.collect_list("entity")).alias("ids"))
     lists.createOrReplaceTempView("allpairs_lists")
     return s.sql("SELECT e1, e2, count(*) AS shared FROM allpairs_lists, LATERAL pairs_of(ids) GROUP BY e1, e2")
 
@@ -102,4 +102,4 @@ def _table_function(s, d):
 op("udf_measure_columns", _own_measure, _PAIRS)
 op("udf_measure_arrow", _arrow_measure, _PAIRS)
 op("udf_aggregate", _grouped_aggregate, oracles.totals("user_props", "card"))
-op("udtf_pairs", _table_function, "WITH r AS (SELECT DISTINCT l_suppkey AS e, l_partkey AS p FROM lineitem WHERE l_partkey % 10 = 0) SELECT a.e AS e1, b.e AS e2, count(*) AS shared FROM r a JOIN r b ON a.p = b.p AND a.e < b.e GROUP BY ALL")
+op("udtf_pairs", _table_function, "WITH r AS (SELECT DISTINCT l_suppkey AS e, l_partkey AS p FROM lineitem) SELECT a.e AS e1, b.e AS e2, count(*) AS shared FROM r a JOIN r b ON a.p = b.p AND a.e < b.e GROUP BY ALL")
