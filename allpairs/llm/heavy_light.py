@@ -17,8 +17,9 @@ A list isn't multiplied out.  First its sets are compared with one centre (the o
 shingles of its own); then only pairs of the list that are still in different components are.  So a
 large group of near copies costs about its size, and no link between components goes unseen.
 
-Texts without words link with nothing.  A null id stands before all others.  Rows that share an id
-count as one document: the links of either are its links.
+Texts without words link with nothing.  Each distinct set has a number of its own, which all joins and
+components use; ids only come back at the end.  So rows with a null or repeated id are documents of
+their own: they share a component only if their texts do.
 """
 
 from __future__ import annotations
@@ -44,7 +45,6 @@ LOWEST_SHARE = 26
 ENTRY_COST = 8
 #: Subsets are never cheaper for sets larger than this.
 MOST_LIGHT = 40
-NULL_ID = -(1 << 63)
 BITMAP_WORDS = 8
 
 
@@ -76,7 +76,7 @@ def _ceil(x: Column, y: int) -> Column:
 
 
 def _sets(docs: DataFrame, k: int, share: int | None, counts_only: bool = False) -> DataFrame:
-    """doc_id, n, two digests, the chosen part of each document's shingles (all if share is None; left empty if only counts are wanted) and its size."""
+    """row, doc_id, n, two digests, the chosen part of each document's shingles (all if share is None; left empty if only counts are wanted) and its size."""
 
     def made(batches: Iterator) -> Iterator:
         import pyarrow as pa
@@ -92,9 +92,9 @@ def _sets(docs: DataFrame, k: int, share: int | None, counts_only: bool = False)
             bits = np.concatenate([toggled(x) for x in sets]) if share is None and sets else np.zeros(BITMAP_WORDS * len(sets), np.int64)
             flat = np.concatenate(part).view(np.int64) if part else np.empty(0, np.int64)
             offsets = np.cumsum([0, *map(len, part)], dtype=np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int64()), pa.array(one), pa.array(two), pa.array(of, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BITMAP_WORDS), pa.array(bits))], ["doc_id", "n", "one", "two", "of", "part", "bits"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([len(x) for x in sets], pa.int64()), pa.array(one), pa.array(two), pa.array(of, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BITMAP_WORDS), pa.array(bits))], ["row", "doc_id", "n", "one", "two", "of", "part", "bits"])
 
-    return docs.mapInArrow(made, "doc_id long, n long, one long, two long, of long, part array<long>, bits array<long>")
+    return docs.select("row", "text", "doc_id").mapInArrow(made, "row binary, doc_id long, n long, one long, two long, of long, part array<long>, bits array<long>")
 
 
 def toggled(elements: np.ndarray) -> np.ndarray:
@@ -176,30 +176,38 @@ def _pairs(left: DataFrame, right: DataFrame, different: Column, boundary: int,
     return left.alias("l").join(right.alias("r"), on).select(F.least("l.set_id", "r.set_id").alias("a"), F.greatest("l.set_id", "r.set_id").alias("b")).distinct()
 
 
-def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text", boundary: int | None = None) -> DataFrame:
-    """doc_id, n_shingles, component_id (the least id it reaches by links, itself included) of every row."""
+def _row(id_col: str, text: Column) -> Column:
+    return F.unhex(F.md5(F.concat(F.coalesce(F.col(id_col).cast("long").cast("string"), F.lit("")), F.lit(":"), text)))
+
+
+def _by_id(id_col: str) -> Column:
+    """What the least of is the row with the least id; rows without one come last."""
+    return F.struct(F.col(id_col).isNull().alias("without"), F.col(id_col).alias("id"), F.col("row").alias("row"))
+
+
+def sets_and_components(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text", boundary: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """Every row (row, doc_id, n, its set's digests; ``row`` is a digest of its id and text), and every set: digests, set_id, component (the least set_id it reaches by links), its least id and the row that has it."""
     spark = docs.sparkSession
     ship(spark)
-    rows = id_and_text(docs, id_col, text_col).withColumn("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)))
+    rows = id_and_text(docs, id_col, text_col).withColumn("doc_id", F.col("doc_id").cast("long"))
+    rows = rows.withColumn("row", _row("doc_id", F.col("text")))
     share = min(256, max(LOWEST_SHARE, 256 * 3 * (similar.den - similar.num) // (2 * similar.den) + LOWEST_SHARE // 2))
     digest = ["n", "one", "two"]
     with bounded_batches(spark):
-        narrow = keep(_sets(rows, k, share, counts_only=True).select("doc_id", *digest, "of"), "set_digests")
-    groups = keep(narrow.filter("n > 0").groupBy(*digest).agg(F.min("doc_id").alias("set_id"), F.min("of").alias("of")), "set_groups")
+        narrow = keep(_sets(rows, k, share, counts_only=True).select("row", "doc_id", *digest), "set_digests")
+    groups = keep(narrow.filter("n > 0").groupBy(*digest).agg(F.min(_by_id("doc_id")).alias("best")).select(*digest, F.col("best.id").alias("least_id"), "best.row", F.monotonically_increasing_id().alias("set_id")), "set_groups")
 
     # shingles are made a second time rather than kept: they take more room than the texts
     own = F.lit(1) + similar.lacks(F.col("n"))
-    one_each = groups.select(F.col("set_id").alias("doc_id"), *digest)
     with bounded_batches(spark):
-        chosen = _sets(rows, k, share).select("doc_id", *digest, "part").join(one_each, ["doc_id", *digest], "left_semi").select("doc_id", F.explode("part").alias("e"))
-        seen = chosen.groupBy("e").agg(F.count("*").alias("f"), F.min("doc_id").alias("set_id")).filter("f = 1").groupBy("set_id").agg(F.count("*").alias("u"))
-        several = F.count("*").over(Window.partitionBy("set_id")) > 1  # an id with several texts: which of them has the u isn't known
-        sizes = groups.select("set_id", "n", several.alias("several"))
-        left_over = keep(sizes.join(seen, "set_id", "left").filter(F.col("several") | (F.coalesce("u", F.lit(0)) < own)).select("set_id", "n").distinct(), "left_over")
+        chosen = _sets(rows, k, share).select("row", *digest, "part").join(groups, ["row", *digest]).select("set_id", F.explode("part").alias("e"))
+        # rows with one id and one text are told apart by nothing, so a shingle of one set is one whose least and greatest set are the same
+        seen = chosen.groupBy("e").agg(F.min("set_id").alias("set_id"), F.max("set_id").alias("other")).filter("set_id = other").groupBy("set_id").agg(F.count("*").alias("u"))
+        left_over = keep(groups.join(seen, "set_id", "left").filter(F.coalesce("u", F.lit(0)) < own).select("set_id", "row", *digest), "left_over")
 
-    again = rows.join(left_over.select(F.col("set_id").alias("doc_id")).distinct(), "doc_id", "left_semi")
+    again = rows.join(left_over.select("row").distinct(), "row", "left_semi")
     with bounded_batches(spark):
-        full = keep(_sets(again, k, None).join(left_over.select(F.col("set_id").alias("doc_id"), "n").distinct(), ["doc_id", "n"], "left_semi").select(F.col("doc_id").alias("set_id"), "n", F.col("part").alias("elements"), "bits").dropDuplicates(["set_id", "n"]), "full_sets")
+        full = keep(_sets(again, k, None).join(left_over, ["row", *digest]).select("set_id", "n", F.col("part").alias("elements"), "bits").dropDuplicates(["set_id"]), "full_sets")
     if boundary is None:
         small = full.filter(F.col("n") <= MOST_LIGHT).groupBy("n").count().collect()
         boundary = choose_boundary({r["n"]: r["count"] for r in small}, similar)
@@ -229,7 +237,25 @@ def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id
     more = keep(_verified(rest, full, similar), "cross_links")
     labels = keep(components(links.unionByName(more), hold, "a", "b"), "components")
 
-    placed = narrow.join(groups.select(*digest, "set_id"), digest, "left").join(labels.withColumnRenamed("node", "set_id"), "set_id", "left")
-    component = F.coalesce("component", "set_id", "doc_id")
-    real = lambda c: F.when(c != NULL_ID, c)
-    return placed.select(real(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), real(component).alias("component_id"))
+    sets = groups.join(labels.withColumnRenamed("node", "set_id"), "set_id", "left").withColumn("component", F.coalesce("component", "set_id"))
+    return narrow, keep(sets, "sets")
+
+
+def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text", boundary: int | None = None) -> DataFrame:
+    """doc_id, n_shingles, component_id (the least id it reaches by links, itself included; null if none of them has an id) of every row."""
+    narrow, sets = sets_and_components(docs, k, similar, id_col, text_col, boundary)
+    least = sets.groupBy("component").agg(F.min("least_id").alias("component_id"))
+    named = keep(sets.join(least, "component").select("n", "one", "two", F.lit(True).alias("worded"), "component_id"), "named_sets")
+    placed = narrow.join(named, ["n", "one", "two"], "left")
+    return placed.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("worded"), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+
+
+def without_near_copies(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of each component, that of its least id (one without an id only if none has one), and every row without words."""
+    narrow, sets = sets_and_components(docs, k, similar, id_col, text_col)
+    first = sets.groupBy("component").agg(F.min(_by_id("least_id")).alias("best")).select("best.row", F.lit(True).alias("_worded"))
+    stay = keep(first.unionByName(narrow.filter("n = 0").select("row", F.lit(False).alias("_worded")).distinct()).withColumnRenamed("row", "_row"), "rows_that_stay")
+    kept = docs.withColumn("_row", _row(id_col, F.coalesce(F.col(text_col), F.lit("")))).join(stay, "_row")
+    # rows with one id and one text are one copy group
+    number = F.row_number().over(Window.partitionBy("_row").orderBy("_worded"))
+    return kept.withColumn("_number", number).filter(~F.col("_worded") | (F.col("_number") == 1)).select(*docs.columns)

@@ -181,6 +181,20 @@ def test_jaccard_join_of_an_id_with_several_texts(spark):
     assert sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in found.collect()) == [(1, 38, 1), (1, 88, 1), (2, 39, 1), (3, 28, 3)]
 
 
+def test_jaccard_join_of_null_and_repeated_ids(spark):
+    import corpus_pipeline as P
+
+    text = lambda w, n=40: " ".join(f"{w}{k}" for k in range(n))
+    # a and b: copy groups with a null id each; c and d: texts of one id and one number of shingles; e and f: alone, under null; g: one id, one text, twice
+    docs = [(None, text("a")), (4, text("a") + " more"), (None, text("b")), (3, text("b") + " more"), (9, text("c")), (9, text("d")), (10, text("c")), (11, text("d") + " more")]
+    docs += [(None, text("e")), (None, text("f")), (12, text("g")), (12, text("g")), (None, ""), (None, "")]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    got = sorted((r["component_id"] or 0, r["doc_id"] or 0) for r in heavy_light.join(df, 5, heavy_light.Similarity(4, 5)).collect())
+    assert got == sorted([(4, 0), (4, 4), (3, 0), (3, 3), (9, 9), (9, 9), (9, 10), (9, 11), (0, 0), (0, 0), (12, 12), (12, 12), (0, 0), (0, 0)])
+    left = sorted((r["doc_id"] or 0, r["text"]) for r in P.near_duplicate_stage(spark, df, SF).collect())
+    assert left == sorted([(4, text("a") + " more"), (3, text("b") + " more"), (9, text("c")), (9, text("d")), (0, text("e")), (0, text("f")), (12, text("g")), (0, ""), (0, "")])
+
+
 def test_boundary_follows_cost():
     s = heavy_light.Similarity(9, 10)
     assert heavy_light.choose_boundary({}, s) == 0
