@@ -30,7 +30,7 @@ BASE = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 MORE = {
-    "secret": r"(?<![A-Za-z0-9])(?:(?:AKIA|ASIA|ghp_|gho_|xox[bp]-|sk_live_|AIza)[A-Za-z0-9_-]{12,64}|(?:password|passwd|secret|token|api_key|apikey)\s{0,2}[=:]\s{0,2}[\x22']?[^\s\x22']{8,128})",
+    "secret": r"(?<![A-Za-z0-9])(?:(?:AKIA|ASIA|ghp_|gho_|xox[bp]-|sk_live_|AIza)[A-Za-z0-9_-]{12,}+|(?:password|passwd|secret|token|api_key|apikey)\s{0,2}[=:]\s{0,2}[\x22']?[^\s\x22']{8,}+)",
     "contact": r"(?<![0-9+()A-Za-z.-])\([0-9]{3}\) ?[0-9]{3}-[0-9]{4}(?![0-9-])",
 }
 KINDS = (*BASE, *MORE)

@@ -121,6 +121,17 @@ def test_personal_data_by_brute_force(spark, odd):
     assert all(0.5 < x < 1 for v in model.reliability.values() for x in v)
 
 
+def test_long_secrets_are_redacted_whole(spark):
+    rng = random.Random(5)
+    made = lambda n: "".join(rng.choice("abcXYZ0189") for _ in range(n))
+    keys = [f"{p}{made(n)}" for p in ("token=", "password: '", "sk_live_", "xoxp-", "AKIA") for n in (8, 12, 64, 65, 128, 129, 300, 20000)]
+    keys = [k for k in keys if "=" in k or ":" in k or len(k) > 16]
+    docs = spark.createDataFrame([(i, f"the key is {k} and more") for i, k in enumerate(keys)], "doc_id long, text string")
+    found, _ = personal_data.find(docs, carry=("doc_id", "text"), threshold=0.0)
+    got = {r["doc_id"]: r["t"] for r in found.select("doc_id", personal_data.redact(F.col("text"), F.col("spans")).alias("t")).collect()}
+    assert got == {i: "the key is <SECRET> and more" for i in range(len(keys))}
+
+
 def brute_components(docs, k, num, den):
     fold = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
     sets = {}
