@@ -15,7 +15,9 @@ shingles of the sets that are left; and again inside each cluster of sets that l
 
 A list isn't multiplied out.  First its sets are compared with one centre (the one with fewest
 shingles of its own); then only pairs of the list that are still in different components are.  So a
-large group of near copies costs about its size, and no link between components goes unseen.
+large group of near copies costs about its size, and no link between components goes unseen.  If
+links are to be counted too, all pairs of sets of a component are verified afterwards, in blocks; that
+costs the square of a component's sets, and components alone don't need it.
 
 Texts without words link with nothing.  Each distinct set has a number of its own, which all joins and
 components use; ids only come back at the end.  So rows with a null or repeated id are documents of
@@ -46,6 +48,8 @@ ENTRY_COST = 8
 #: Subsets are never cheaper for sets larger than this.
 MOST_LIGHT = 40
 BITMAP_WORDS = 8
+#: Sets of a component are compared in blocks of about this many, a block with a block in one task.
+BLOCK = 128
 
 
 @dataclass(frozen=True)
@@ -176,6 +180,58 @@ def _pairs(left: DataFrame, right: DataFrame, different: Column, boundary: int,
     return left.alias("l").join(right.alias("r"), on).select(F.least("l.set_id", "r.set_id").alias("a"), F.greatest("l.set_id", "r.set_id").alias("b")).distinct()
 
 
+def intersections(left: list[np.ndarray], right: list[np.ndarray], width: int = 4096) -> np.ndarray:
+    """How many elements each set of ``left`` shares with each of ``right``, by products of 0-1 matrices of ``width`` elements at a time."""
+    out = np.zeros((len(left), len(right)), np.int64)
+    flat = [np.concatenate(x) for x in (left, right)]
+    common = np.intersect1d(*flat)
+    places = []
+    for sets, x in zip((left, right), flat, strict=True):
+        owner, at = np.repeat(np.arange(len(sets)), [len(e) for e in sets]), np.searchsorted(common, x)
+        real = np.zeros(len(x), bool) if not len(common) else common[np.minimum(at, len(common) - 1)] == x
+        order = np.argsort(at[real], kind="stable")
+        places.append((owner[real][order], at[real][order]))
+    for begin in range(0, len(common), width):
+        part = []
+        for sets, (owner, at) in zip((left, right), places, strict=True):
+            s, e = np.searchsorted(at, [begin, begin + width])
+            cells = np.zeros((len(sets), min(width, len(common) - begin)), np.float32)
+            cells[owner[s:e], at[s:e] - begin] = 1
+            part.append(cells)
+        out += (part[0] @ part[1].T).astype(np.int64)
+    return out
+
+
+def _links_inside(members: DataFrame, full: DataFrame, similar: Similarity) -> DataFrame:
+    """set_id and linked, the number of documents of other sets that each links with: every pair of a component is verified, in blocks."""
+    sizes = members.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
+    placed = members.select("set_id", "component", "copies").join(sizes, "component").withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")))
+    met = placed.join(full.select("set_id", "elements"), "set_id").withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    dealt = met.select("component", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "set_id", "copies", "elements")
+
+    def verified(key, table):
+        import pyarrow as pa
+
+        lo, hi = key[1].as_py(), key[2].as_py()
+        own, ids, copies = (table.column(c).to_numpy() for c in ("own", "set_id", "copies"))
+        column = table.column("elements").combine_chunks()
+        ends = np.concatenate([[0], np.cumsum(column.value_lengths().to_numpy(zero_copy_only=False))])
+        flat = column.flatten().to_numpy()
+        sets = [flat[s:e] for s, e in zip(ends[:-1], ends[1:], strict=True)]
+        a, b = np.flatnonzero(own == lo), np.flatnonzero(own == hi)
+        linked = np.zeros(len(ids), np.int64)
+        if len(a) and len(b):
+            n = np.array([len(x) for x in sets], np.int64)
+            shared = intersections([sets[i] for i in a], [sets[i] for i in b])
+            link = (shared * similar.den >= (n[a][:, None] + n[b][None, :] - shared) * similar.num) & (ids[a][:, None] != ids[b][None, :])
+            linked[a] += link @ copies[b]
+            if lo != hi:
+                linked[b] += copies[a] @ link
+        return pa.table({"set_id": pa.array(ids), "linked": pa.array(linked)})
+
+    return keep(dealt.groupBy("component", "lo", "hi").applyInArrow(verified, "set_id long, linked long"), "block_links").groupBy("set_id").agg(F.sum("linked").alias("linked"))
+
+
 def _row(id_col: str, text: Column) -> Column:
     return F.unhex(F.md5(F.concat(F.coalesce(F.col(id_col).cast("long").cast("string"), F.lit("")), F.lit(":"), text)))
 
@@ -185,8 +241,8 @@ def _by_id(id_col: str) -> Column:
     return F.struct(F.col(id_col).isNull().alias("without"), F.col(id_col).alias("id"), F.col("row").alias("row"))
 
 
-def sets_and_components(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text", boundary: int | None = None) -> tuple[DataFrame, DataFrame]:
-    """Every row (row, doc_id, n, its set's digests; ``row`` is a digest of its id and text), and every set: digests, set_id, component (the least set_id it reaches by links), its least id and the row that has it."""
+def sets_and_components(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text", boundary: int | None = None, links: bool = False) -> tuple[DataFrame, DataFrame]:
+    """Every row (row, doc_id, n, its set's digests; ``row`` is a digest of its id and text), and every set: digests, set_id, component (the least set_id it reaches by links), its least id and the row that has it; with ``links`` also n_links of each of its documents."""
     spark = docs.sparkSession
     ship(spark)
     rows = id_and_text(docs, id_col, text_col).withColumn("doc_id", F.col("doc_id").cast("long"))
@@ -195,7 +251,7 @@ def sets_and_components(docs: DataFrame, k: int = 5, similar: Similarity = Simil
     digest = ["n", "one", "two"]
     with bounded_batches(spark):
         narrow = keep(_sets(rows, k, share, counts_only=True).select("row", "doc_id", *digest), "set_digests")
-    groups = keep(narrow.filter("n > 0").groupBy(*digest).agg(F.min(_by_id("doc_id")).alias("best")).select(*digest, F.col("best.id").alias("least_id"), "best.row", F.monotonically_increasing_id().alias("set_id")), "set_groups")
+    groups = keep(narrow.filter("n > 0").groupBy(*digest).agg(F.min(_by_id("doc_id")).alias("best"), F.count("*").alias("copies")).select(*digest, "copies", F.col("best.id").alias("least_id"), "best.row", F.monotonically_increasing_id().alias("set_id")), "set_groups")
 
     # shingles are made a second time rather than kept: they take more room than the texts
     own = F.lit(1) + similar.lacks(F.col("n"))
@@ -238,16 +294,20 @@ def sets_and_components(docs: DataFrame, k: int = 5, similar: Similarity = Simil
     labels = keep(components(links.unionByName(more), hold, "a", "b"), "components")
 
     sets = groups.join(labels.withColumnRenamed("node", "set_id"), "set_id", "left").withColumn("component", F.coalesce("component", "set_id"))
+    if links:
+        found = _links_inside(sets.join(labels.withColumnRenamed("node", "set_id").select("set_id"), "set_id", "left_semi"), full, similar)
+        sets = sets.join(found, "set_id", "left").withColumn("n_links", F.col("copies") - 1 + F.coalesce("linked", F.lit(0))).drop("linked")
     return narrow, keep(sets, "sets")
 
 
-def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text", boundary: int | None = None) -> DataFrame:
-    """doc_id, n_shingles, component_id (the least id it reaches by links, itself included; null if none of them has an id) of every row."""
-    narrow, sets = sets_and_components(docs, k, similar, id_col, text_col, boundary)
+def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text", boundary: int | None = None, links: bool = False) -> DataFrame:
+    """doc_id, n_shingles, component_id (the least id it reaches by links, itself included; null if none of them has an id) of every row; with ``links`` also n_links, the number of other rows it links with."""
+    narrow, sets = sets_and_components(docs, k, similar, id_col, text_col, boundary, links)
+    counts = ["n_links"] if links else []
     least = sets.groupBy("component").agg(F.min("least_id").alias("component_id"))
-    named = keep(sets.join(least, "component").select("n", "one", "two", F.lit(True).alias("worded"), "component_id"), "named_sets")
+    named = keep(sets.join(least, "component").select("n", "one", "two", F.lit(True).alias("worded"), "component_id", *counts), "named_sets")
     placed = narrow.join(named, ["n", "one", "two"], "left")
-    return placed.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("worded"), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+    return placed.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("worded"), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"), *(F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in counts))
 
 
 def without_near_copies(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -12,7 +12,7 @@ from .common import bounded_batches, documents, keep, labels
 
 
 def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return heavy_light.join(documents(spark, sf_dir), 3, heavy_light.Similarity(9, 10))
+    return heavy_light.join(documents(spark, sf_dir), 3, heavy_light.Similarity(9, 10), links=True)
 
 
 def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:

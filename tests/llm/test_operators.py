@@ -179,6 +179,25 @@ def test_jaccard_join_by_brute_force(spark, k, num, den, longest, boundary):
     assert got == brute_components(docs, k, num, den)
 
 
+def test_jaccard_join_counts_links_by_brute_force(spark, monkeypatch):
+    monkeypatch.setattr(heavy_light, "BLOCK", 7)
+    docs = near_copies(11, 120, 40)
+    docs += [(1000 + d, t) for d, t in docs[:30]] + [(None, docs[5][1])]
+    sets = []
+    for d, t in docs:
+        w = t.split()
+        sets.append((d, {tuple(w[j : j + 3]) for j in range(len(w) - 2)} or ({tuple(w)} if w else set())))
+    want = sorted((d or -1, sum(i != j and len(x & y) * 5 >= 4 * len(x | y) > 0 for j, (_, y) in enumerate(sets))) for i, (d, x) in enumerate(sets))
+    found = heavy_light.join(spark.createDataFrame(docs, "doc_id long, text string"), 3, heavy_light.Similarity(4, 5), links=True)
+    assert sorted((r["doc_id"] or -1, r["n_links"]) for r in found.collect()) == want and max(n for _, n in want) > 7
+
+
+def test_intersections_in_parts():
+    rng = np.random.default_rng(1)
+    left, right = ([rng.choice(60, n, replace=False).astype(np.int64) for n in rng.integers(1, 30, 9)] for _ in range(2))
+    assert heavy_light.intersections(left, right, 8).tolist() == [[len(set(a) & set(b)) for b in right] for a in left]
+
+
 def test_jaccard_join_odd_rows(odd):
     got = {r["doc_id"]: r["component_id"] for r in heavy_light.join(odd).collect()}
     assert got == {d: 1 if d == 5 else d for d, _ in ODD}
