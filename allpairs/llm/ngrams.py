@@ -12,8 +12,8 @@ _STEP = np.uint64(0xC2B2AE3D27D4EB4F)
 
 @lru_cache(maxsize=1)
 def _letters() -> np.ndarray:
-    """Which of the first 65,536 code points are letters."""
-    return np.fromiter((chr(c).isalpha() for c in range(1 << 16)), bool, 1 << 16)
+    """Which of all code points are letters."""
+    return np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
 
 
 class Grams:
@@ -28,7 +28,7 @@ class Grams:
         lens = np.array([len(t) for t in lower], np.int64)
         pad = " " * longest
         codes = np.frombuffer((pad + pad.join(lower) + pad).encode("utf-32-le", "surrogatepass"), "<u4") if texts else np.empty(0, "<u4")
-        letter = _letters()[np.minimum(codes, 0xFFFF)] | (codes > 0xFFFF)
+        letter = _letters()[codes]
         owner = np.repeat(np.arange(len(lens)), lens + longest)
         self.has_letter = np.zeros(len(lens), bool)
         body = letter[: len(owner)]

@@ -334,6 +334,18 @@ def test_language_held_out(spark):
     assert all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 4 == 2) for r in got)
 
 
+def test_emoji_are_no_letters():
+    from allpairs.llm.ngrams import Grams
+
+    assert Grams(["😀 🎉😀", "😀 a", "𐐀𠀀", "", None], 3).has_letter.tolist() == [False, True, True, False, False]
+
+
+def test_language_of_emoji_is_unknown(spark):
+    model = language.fit(spark.createDataFrame([(1, "the cat sat", "en"), (2, "die Katze sitzt", "de")], "doc_id long, text string, lang string"))
+    got = language.predict(spark.createDataFrame([(1, "😀🎉 😀")], "doc_id long, text string"), model).first()
+    assert got["lang_pred"] == language.UNKNOWN
+
+
 def test_language_odd_rows(odd):
     empty = language.fit(odd.limit(0))
     assert {r["lang_pred"] for r in language.predict(odd, empty).collect()} == {"und"}
