@@ -13,6 +13,8 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Rows of one key that any task can take.
+HOT_ROWS = 256
 _ROOT = str(Path(__file__).resolve().parents[2])
 _local_base: list[str] = []
 _written: list[tuple[SparkSession, str]] = []
@@ -93,7 +95,10 @@ def forget(*tables: DataFrame) -> None:
 
 
 def size_bounded_batches(batches, text_at: int, max_bytes: int = 4 << 20):
-    """Slices of Arrow record batches that hold at most ``max_bytes`` of text, or one row."""
+    """Slices of Arrow record batches that hold at most ``max_bytes`` of text, or one row.
+
+    Spark itself bounds a batch by ``spark.sql.execution.arrow.maxBytesPerBatch``; this bounds what is made of it.
+    """
     import numpy as np
     import pyarrow.compute as pc
 
@@ -118,10 +123,42 @@ def bounded_batches(spark: SparkSession, rows: int = 512):
         spark.conf.set(name, before)
 
 
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """Names like the given ones that no column of ``df`` has, whatever the case."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def columns_of(df: DataFrame) -> list:
+    """All columns by name, whatever characters a name has."""
+    return [F.col(f"`{c.replace('`', '``')}`") for c in df.columns]
+
+
+def spread_join(big: DataFrame, small: DataFrame, keys: list[str], size: str, how: str = "inner", parts: int = 4096) -> DataFrame:
+    """``big`` joined with ``small``, which has one row for each key and in ``size`` how many rows of ``big`` have it.
+
+    Keys of more than a ``parts``-th of all rows that ``small`` counts, fewer than ``parts``, are broadcast, so their rows
+    stay where they are; all others are shuffled, and no task gets more of one key than that part.
+    """
+    seen = small.agg(F.coalesce(F.sum(size), F.lit(0)).alias("total"), F.coalesce(F.max(size), F.lit(0)).alias("most")).first()
+    limit = max(HOT_ROWS, seen["total"] // parts)
+    if seen["most"] <= limit:
+        return big.join(small, keys, how)
+    hot = keep(small.filter(F.col(size) > limit), "hot_keys")
+    cold = big.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(small.filter(F.col(size) <= limit), keys, how)
+    return big.join(F.broadcast(hot), keys, "left_semi" if how == "left_semi" else "inner").unionByName(cold)
+
+
 def with_columns_of_text(df: DataFrame, text_col: str, fields: str, make) -> DataFrame:
     """All columns of ``df`` and those of ``fields``, which ``make()(texts)`` gives as arrays in a Python stage.
 
-    Null texts reach it as None.  ``make`` runs once a task, on the worker.
+    Null texts reach it as None.  ``make`` runs once a task, on the worker.  An input column that has the name of a
+    new one is replaced; ``unused`` finds names that aren't taken.
     """
     from pyspark.sql.types import StructType
 
