@@ -3,7 +3,8 @@
 A byte-level model never joins what stands on both sides of a blank between two visible
 characters, and a model that drops white space never joins across any; the text is cut there, each
 distinct piece goes through the library once, and the ids of a text are those of its pieces in
-order.  A tokenizer of any other make gets whole texts.
+order.  A tokenizer of any other make gets whole texts, and so does a text that holds the string of an
+added token such as an end mark, which the library gives one id.
 """
 
 from __future__ import annotations
@@ -43,10 +44,11 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True  # their strings in a text are ordinary text
         self.vocabulary = self.library.get_vocab_size()
         with open(path, encoding="utf-8") as f:
             made = json.load(f)
+        #: strings that the library looks for before it cuts a text, in any case of letters
+        self.added = [t["content"].lower() for t in made.get("added_tokens") or [] if t["content"]]
         before, clean = made.get("pre_tokenizer") or {}, made.get("normalizer")
         steps = before.get("pretokenizers", [])
         if before.get("type") == "ByteLevel" and before.get("use_regex") and not before.get("add_prefix_space") and clean is None:
@@ -131,6 +133,21 @@ class Encoder:
     def encode(self, texts: list[str]) -> list[bytes]:
         if self.cut is None:
             return self._ids(texts) if texts else []
+        whole = [k for k, t in enumerate(texts) if self._holds_added(t)]
+        if whole:
+            rest = set(whole)
+            cut = iter(self._by_pieces([t for k, t in enumerate(texts) if k not in rest]))
+            uncut = iter(self._ids([texts[k] for k in whole]))
+            return [next(uncut if k in rest else cut) for k in range(len(texts))]
+        return self._by_pieces(texts)
+
+    def _holds_added(self, text: str) -> bool:
+        if not self.added:
+            return False
+        low = text.lower()
+        return any(t in low for t in self.added)
+
+    def _by_pieces(self, texts: list[str]) -> list[bytes]:
         cuts = [self.cut(t) if t else [""] for t in texts]
         firsts = iter(self._ids([c[0] for c in cuts if c[0]]))
         heads = [next(firsts) if c[0] else b"" for c in cuts]
