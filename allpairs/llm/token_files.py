@@ -21,7 +21,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, id_and_text, keep, ship, size_bounded_batches
+from .common import id_and_text, keep, ship, size_bounded_batches
 
 MAGIC = b"idpack01"
 _HEAD = struct.Struct("<8sBIQQ")
@@ -133,8 +133,7 @@ def write(docs: DataFrame, model: str, end_id: int = 0, id_col: str = "doc_id",
 
     order = [F.col("doc_id").asc_nulls_first(), F.col("text")]
     rows = id_and_text(docs, id_col, text_col).repartitionByRange(order[0]).sortWithinPartitions(*order)
-    with bounded_batches(docs.sparkSession):
-        return keep(rows.mapInArrow(images, _IMAGES), "images")
+    return keep(rows.mapInArrow(images, _IMAGES), "images")
 
 
 def starts(images: DataFrame) -> DataFrame:
@@ -160,13 +159,23 @@ def read(images: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(image.doc_ids, mask=image.doc_ids == NO_ID), pa.array(begins + batch.column(0)[k].as_py()), pa.array(image.lengths), pa.array(crcs, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
     placed = images.join(F.broadcast(starts(images)), "part").select((F.col("part_start") + F.col("at")).alias("start"), "image")
-    with bounded_batches(images.sparkSession, rows=4):
-        return keep(placed.mapInArrow(documents_of, "doc_id long, start long, n_tokens long, ids_crc32 long"), "token_rows")
+    return keep(placed.mapInArrow(documents_of, "doc_id long, start long, n_tokens long, ids_crc32 long"), "token_rows")
 
 
 def slice_ids(images: DataFrame, start: int, stop: int) -> np.ndarray:
-    """Ids ``start`` to ``stop`` of the corpus: only the images that hold them are read, and only their blocks unpacked."""
+    """Ids ``start`` to ``stop`` of the corpus: only the images that hold them are read, only their blocks unpacked, and only these ids reach the driver."""
+    ship(images.sparkSession)
+
+    def cut(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        for batch in batches:
+            for k in range(batch.num_rows):
+                begin, n, image = (batch.column(c)[k].as_py() for c in range(3))
+                ids = Image(image).ids(max(0, start - begin), min(n, stop - begin)).astype("<u4")
+                yield pa.RecordBatch.from_arrays([pa.array([begin], pa.int64()), pa.array([ids.tobytes()], pa.binary())], ["begin", "ids"])
+
     begin = F.col("part_start") + F.col("at")
     hit = images.join(F.broadcast(starts(images)), "part").withColumn("begin", begin).filter((F.col("begin") < stop) & (F.col("begin") + F.col("n_ids") > start))
-    parts = [Image(bytes(r["image"])).ids(max(0, start - r["begin"]), min(r["n_ids"], stop - r["begin"])) for r in hit.orderBy("begin").select("begin", "n_ids", "image").collect()]
-    return np.concatenate(parts) if parts else np.empty(0, np.uint32)
+    parts = hit.select("begin", "n_ids", "image").mapInArrow(cut, "begin long, ids binary").orderBy("begin").collect()
+    return np.frombuffer(b"".join(bytes(r["ids"]) for r in parts), "<u4")
