@@ -1,7 +1,7 @@
 """SentencePiece encoding and decoding with a batched Viterbi search in numpy.
 
-Words of equal length advance together, one end position at a time: hashes of all substrings that
-end there, from running prefix hashes, are looked up among the sorted keys of the pieces, and the
+Words of equal length, or long ones of nearly equal length, advance together, one end position at a
+time: hashes of all substrings that end there, from running prefix hashes, are looked up among the sorted keys of the pieces, and the
 best predecessor of each word is stored as a backpointer.
 
 What is best depends on the model.  A unigram model's search takes the largest sum of scores.  A
@@ -19,7 +19,6 @@ from __future__ import annotations
 import re
 import struct
 from array import array
-from collections import defaultdict
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -31,9 +30,12 @@ NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 _P = 0x9E3779B97F4A7C15
 MOST_WORDS = 400_000
 MOST_PAIRS = 1_500_000
-#: Longer words are searched alone.
-LONGEST_BATCHED = 48
-BATCH_WORDS = 1 << 15
+#: Characters, padding included, of the words that are searched together.
+BATCH_CHARACTERS = 1 << 19
+#: Positions whose matches are held at once.
+WINDOW = 1 << 15
+#: Longer words are not remembered.
+LONGEST_KNOWN = 48
 
 
 def _fields(data: bytes) -> Iterator[tuple[int, object]]:
@@ -101,6 +103,7 @@ class Pieces:
         self.unknown_score = np.float32(least - 10)
         self.score = np.array([*self.scores, self.unknown_score], np.float32)  # the last: a character without a piece
         self.none = len(self.text)
+        self.powers = [pow(_P, k, 1 << 64) for k in range(self.longest + 1)]
         if self.kind == MERGES:
             made = {k for t, k in self.id.items() if len(t) == 1 or self.merge(t) == [k]}
             self.usable = np.array([k in made for k in range(self.none)] + [True])
@@ -176,54 +179,63 @@ class Pieces:
 
     # --- search
 
-    def search(self, words: list[str]) -> list[list[int]]:
-        """Piece ids (``none`` for a character without one) of words of one length."""
-        n_words, n = len(words), len(words[0])
-        codes = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), "<u4").reshape(n_words, n)
-        values = self._value(codes)
-        prefix = np.zeros((n + 1, n_words), np.uint64)
-        for k in range(n):
-            prefix[k + 1] = prefix[k] * np.uint64(_P) + values[:, k]
-        power = [pow(_P, k, 1 << 64) for k in range(self.longest + 1)]
-        # piece of each (length, start, word): only what is the beginning of a piece is made longer
-        match = np.full((min(self.longest, n) + 1, n, n_words), -1, np.int32)
-        start, word = (x.reshape(-1) for x in np.indices((n, n_words), np.int32))
+    def _matches(self, prefix: np.ndarray, low: int, high: int) -> np.ndarray:
+        """The piece of each (length, start, word), or -1, for starts from ``low`` to ``high``; only what is the beginning of a piece is made longer."""
+        n, n_words = len(prefix) - 1, prefix.shape[1]
+        match = np.full((min(self.longest, n - low) + 1, high - low, n_words), -1, np.int32)
+        start, word = (x.reshape(-1) for x in np.indices((high - low, n_words), np.int32))
+        start = start + low
         for size in range(1, len(match)):
-            h = prefix[start + size, word] - prefix[start, word] * np.uint64(power[size])
+            inside = start + size <= n
+            start, word = start[inside], word[inside]
+            h = prefix[start + size, word] - prefix[start, word] * np.uint64(self.powers[size])
             at = np.minimum(np.searchsorted(self.keys, h), len(self.keys) - 1)
             hit = self.keys[at] == h
             start, word, at = start[hit], word[hit], at[hit]
-            match[size, start, word] = self.ids[at]
-            inside = start + size < n
-            start, word = start[inside], word[inside]
+            match[size, start - low, word] = self.ids[at]
         match[1][match[1] < 0] = self.none
-        some = (match >= 0).any(2)
+        return match
+
+    def search(self, words: list[str]) -> list[list[int]]:
+        """Piece ids (``none`` for a character without one) of words, which advance together; shorter ones stop at their ends."""
+        n_words, n = len(words), max(map(len, words))
+        lens = np.array([len(w) for w in words])
+        codes = np.frombuffer("".join(w.ljust(n, "\0") for w in words).encode("utf-32-le", "surrogatepass"), "<u4").reshape(n_words, n)
+        values = self._value(codes)
+        prefix = np.zeros((n + 1, n_words), np.uint64)
+        for k in range(n):
+            prefix[k + 1] = prefix[k] * np.uint64(_P) + values[:, k]
         best = np.full((n + 1, n_words), -np.inf, np.float32)
         best[0] = 0
         back = np.zeros((n + 1, n_words), np.int64)
         last = np.full((n + 1, n_words), self.none, np.int64)
-        for e in range(1, n + 1):
-            open_ = np.ones(n_words, bool)
-            for size in range(min(self.longest, e), 0, -1):
-                s = e - size
-                if not some[size, s]:
-                    continue
-                piece = match[size, s]
-                rows = np.flatnonzero((piece >= 0) & open_)
-                rows = rows[self.usable[piece[rows]]]
-                if self.kind == UNIGRAM:
-                    total = best[s][rows] + self.score[piece[rows]]
-                    better = total > best[e][rows]
-                    rows = rows[better]
-                    best[e][rows] = total[better]
-                else:
-                    if s:
-                        rows = rows[self._fit(last[s][rows], piece[rows].astype(np.int64))]
-                    open_[rows] = False
-                back[e][rows] = s
-                last[e][rows] = piece[rows]
+        even = (lens == n).all()
+        for begin in range(0, n, WINDOW):
+            low, high = max(0, begin - self.longest), min(n, begin + WINDOW)
+            match = self._matches(prefix, low, high)
+            some = (match >= 0).any(2)
+            for e in range(begin + 1, high + 1):
+                open_ = np.ones(n_words, bool) if even else lens >= e
+                for size in range(min(self.longest, e, len(match) - 1), 0, -1):
+                    s = e - size
+                    if not some[size, s - low]:
+                        continue
+                    piece = match[size, s - low]
+                    rows = np.flatnonzero((piece >= 0) & open_)
+                    rows = rows[self.usable[piece[rows]]]
+                    if self.kind == UNIGRAM:
+                        total = best[s][rows] + self.score[piece[rows]]
+                        better = total > best[e][rows]
+                        rows = rows[better]
+                        best[e][rows] = total[better]
+                    else:
+                        if s:
+                            rows = rows[self._fit(last[s][rows], piece[rows].astype(np.int64))]
+                        open_[rows] = False
+                    back[e][rows] = s
+                    last[e][rows] = piece[rows]
         out: list[list[int]] = [[] for _ in words]
-        where = np.full(n_words, n)
+        where = lens.copy()
         rows = np.arange(n_words)
         while len(rows):
             for r, p in zip(rows.tolist(), last[where[rows], rows].tolist(), strict=True):
@@ -232,28 +244,6 @@ class Pieces:
             rows = rows[where[rows] > 0]
         return [x[::-1] for x in out]
 
-    def search_one(self, word: str) -> list[int]:
-        """The same search without arrays, for long words."""
-        n = len(word)
-        best, back, last = [np.float32(0)] + [np.float32(-np.inf)] * n, [0] * (n + 1), [self.none] * (n + 1)
-        for e in range(1, n + 1):
-            for s in range(max(0, e - self.longest), e):
-                piece = self.id.get(word[s:e], self.none)
-                if piece == self.none and e - s > 1 or not self.usable[piece]:
-                    continue
-                if self.kind == UNIGRAM:
-                    total = best[s] + self.score[piece]
-                    if total > best[e]:
-                        best[e], back[e], last[e] = total, s, piece
-                elif s == 0 or self._fits(last[s], piece):
-                    back[e], last[e] = s, piece
-                    break
-        out = []
-        while n:
-            out.append(last[n])
-            n = back[n]
-        return out[::-1]
-
     def _fits(self, a: int, b: int) -> bool:
         if self.none in (a, b):
             return True
@@ -297,23 +287,28 @@ class Pieces:
         if len(self.known) > MOST_WORDS:
             self.known.clear()
         new = {w for words in cut for w in words} - self.known.keys()
-        groups, found = defaultdict(list), {}
-        for w in new:
-            groups[len(w)].append(w)
-        for n, words in groups.items():
-            if n > LONGEST_BATCHED:
-                found |= {w: self._with_bytes(w, self.search_one(w)) for w in words}
-                continue
-            for k in range(0, len(words), BATCH_WORDS):
-                some = words[k : k + BATCH_WORDS]
-                found |= {w: self._with_bytes(w, p) for w, p in zip(some, self.search(some), strict=True)}
+        found = {}
+        for some in self._batches(new):
+            found |= {w: self._with_bytes(w, p) for w, p in zip(some, self.search(some), strict=True)}
         self.known.update(found)
         out = [b"".join([self.known[w] for w in words]) for words in cut]
         for w in found:
-            if len(w) > LONGEST_BATCHED:
+            if len(w) > LONGEST_KNOWN:
                 del self.known[w]
         return out
 
+    @staticmethod
+    def _batches(words: set[str]) -> Iterator[list[str]]:
+        """Words of one length, or of nearly one if they are long, as many as BATCH_CHARACTERS hold."""
+        some: list[str] = []
+        for w in sorted(words, key=len):
+            if some and (len(w) * (len(some) + 1) > BATCH_CHARACTERS or len(w) > max(len(some[0]), len(some[0]) * 5 // 4 if len(some[0]) > 24 else 0)):
+                yield some
+                some = []
+            some.append(w)
+        if some:
+            yield some
+
     def decode(self, ids: np.ndarray) -> str:
         out, pending = [], bytearray()
         for k in ids.tolist():
