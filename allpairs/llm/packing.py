@@ -1,10 +1,11 @@
 """Best-fit packing of documents into sequences, by residuals up a tree.
 
 Each task tokenizes its documents and packs their pieces best-fit, longest first, in blocks of
-bounded size.  Sequences that are nearly full are final.  The others become items of their own:
-several tasks' residuals meet in one node of a tree, are packed best-fit again, and so on to the
-root.  A node passes on at most NODE_ITEMS residuals, the emptiest; fuller ones are final as they
-are, so no node gets more than FAN_IN times that and nothing is dropped.
+bounded size.  Sequences that are nearly full are final.  The others become items of their own: a
+round deals them into nodes of about NODE_ITEMS, packs each node best-fit again, and so on with
+what is still underfull.  A round has so many nodes that none holds more than twice that, so the
+tree is as wide as the data asks for and nothing is left out; it ends at one node, or when a round
+no longer joins one item in LEAST_GAIN.
 
 Only documents longer than a sequence are cut, into whole sequences; the last piece may be shorter.
 Null text is the empty text, one end id.  Repeated rows are packed each.
@@ -19,11 +20,12 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, id_and_text, keep, ship, size_bounded_batches
+from .common import id_and_text, keep, ship, size_bounded_batches
 
 BLOCK_PIECES = 1 << 16
-FAN_IN = 8
-NODE_ITEMS = 1 << 13
+NODE_ITEMS = 1 << 15
+#: Items of which a round must join at least one, or it is the last.
+LEAST_GAIN = 1000
 #: A sequence with less room than this is final.
 NEARLY_FULL = 4
 
@@ -91,39 +93,46 @@ def _pieces(docs: DataFrame, model: str, room: int, end_id: int) -> DataFrame:
 
 
 def _merged(items: DataFrame, room: int) -> DataFrame:
-    """One level: items (bin, fill, node) become (bin, fill, node, into, at, held, open)."""
+    """One round: items (bin, fill, node) become (bin, into, at, held)."""
 
-    def node(pdf):
-        pdf = pdf.sort_values("bin", ignore_index=True)
-        bins, at, fill = best_fit(pdf["fill"].to_numpy(np.int64), room)
+    def node(table):
+        import pyarrow as pa
+
+        table = table.sort_by("bin")
+        of, lengths = table.column("bin").to_numpy(), table.column("fill").to_numpy()
+        bins, at, fill = best_fit(lengths, room)
         head = np.full(len(fill), np.iinfo(np.int64).max)
-        np.minimum.at(head, bins, pdf["bin"].to_numpy(np.int64))
-        open_ = fill <= room - NEARLY_FULL
-        if open_.sum() > NODE_ITEMS:
-            open_ &= np.argsort(np.argsort(np.where(open_, fill, room + 1), kind="stable"), kind="stable") < NODE_ITEMS
-        return pdf.assign(into=head[bins], at=at, held=fill[bins], open=open_[bins])
+        np.minimum.at(head, bins, of)
+        return pa.table({"bin": of, "into": head[bins], "at": at, "held": fill[bins]})
 
-    return items.groupBy("node").applyInPandas(node, "bin long, fill long, node long, into long, at long, held long, open boolean")
+    return items.groupBy("node").applyInArrow(node, "bin long, into long, at long, held long")
 
 
 def pack(docs: DataFrame, model: str, room: int = 2048, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece."""
     spark = docs.sparkSession
     ship(spark)
-    with bounded_batches(spark):
-        pieces = keep(_pieces(id_and_text(docs, id_col, text_col), model, room, end_id), "pieces")
+    pieces = keep(_pieces(id_and_text(docs, id_col, text_col), model, room, end_id), "pieces")
     items = pieces.groupBy("bin").agg(F.sum("length").cast("long").alias("fill")).filter(F.col("fill") <= room - NEARLY_FULL)
-    items = items.withColumn("node", F.shiftright("bin", 32))
-    places, nodes = None, 2
-    while nodes > 1:
-        level = keep(_merged(items.withColumn("node", F.floor(F.col("node") / FAN_IN).cast("long")), room), "merged")
-        nodes = level.select("node").distinct().count()
+    items = keep(items, "residuals")
+    places, n, turn = None, items.count(), 0
+    while n:
+        turn += 1
+        # a hash of bin and round deals every node a like mixture of all tasks' bins
+        nodes = -(-n // NODE_ITEMS)
+        level = keep(_merged(items.withColumn("node", F.pmod(F.xxhash64("bin", F.lit(turn)), F.lit(nodes))), room), "merged")
         step = level.select("bin", "into", "at")
         if places is None:
-            places = step.select("bin", F.col("into"), F.col("at").alias("base"))
+            places = step.select("bin", "into", F.col("at").alias("base"))
         else:
             up = step.select(F.col("bin").alias("into"), F.col("into").alias("_into"), F.col("at").alias("_at"))
-            places = places.join(up, "into", "left").select("bin", F.coalesce("_into", "into").alias("into"), (F.col("base") + F.coalesce("_at", F.lit(0))).alias("base"))
-        items = level.filter("open").groupBy(F.col("into").alias("bin")).agg(F.first("held").alias("fill"), F.first("node").alias("node"))
+            places = keep(places.join(up, "into", "left").select("bin", F.coalesce("_into", "into").alias("into"), (F.col("base") + F.coalesce("_at", F.lit(0))).alias("base")), "places")
+        left = level.filter(F.col("held") <= room - NEARLY_FULL).groupBy(F.col("into").alias("bin")).agg(F.first("held").alias("fill"))
+        items = keep(left, "residuals")
+        before, n = n, items.count()
+        if nodes == 1 or level.agg(F.count_distinct("into").alias("n")).first()["n"] >= before - before // LEAST_GAIN:
+            break
+    if places is None:
+        return pieces.select("doc_id", "piece", "start", "length", "ids_crc32", F.col("bin").alias("sequence_id"), F.col("at").alias("offset"))
     final = pieces.join(places, "bin", "left")
     return final.select("doc_id", "piece", "start", "length", "ids_crc32", F.coalesce("into", "bin").alias("sequence_id"), (F.coalesce("base", F.lit(0)) + F.col("at")).alias("offset"))
