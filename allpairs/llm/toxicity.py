@@ -2,8 +2,11 @@
 
 A text's features are the hashed n-grams it has, each worth its log-count ratio between toxic and
 other training texts; logistic regression learns their weights from a bounded sample of labelled
-rows.  Whole texts of any length are scored; null and empty texts get the score of no feature.
-Repeated labels of one document count once, the highest; labels without a document, or null, don't.
+rows.  How many training texts of each class have a bucket is counted on the executors; only what the
+counts leave is sent to the driver.  Whole texts of any length are scored, repeated rows each; null and
+empty texts get the score of no feature; an input column with the name of the result is replaced by it.
+Repeated labels of one document count once, the highest; labels without a document, or null, don't; of
+several texts with one id the least is learned from.
 Without training rows of both classes every score is 0.
 """
 
@@ -15,7 +18,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, keep, ship, with_columns_of_text
+from .common import keep, ship, size_bounded_batches, with_columns_of_text
 from .ngrams import Grams
 
 ORDERS = (3, 4, 5)
@@ -53,38 +56,60 @@ def training_rows(docs: DataFrame, labels: DataFrame, most: int = MOST_OF_A_CLAS
     order = F.xxhash64(F.lit("sample"), "doc_id"), F.col("doc_id")
     chosen = keep(single.filter("toxic = 1").orderBy(*order).limit(most).unionByName(single.filter("toxic = 0").orderBy(*order).limit(most)), "chosen")
     # at most 2 * most rows of two numbers
-    return docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"])
+    return docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("toxic").alias("toxic"))
 
 
 def fit(rows: DataFrame) -> ToxicityModel:
-    """``rows``: bounded training rows with text and toxic."""
-    ship(rows.sparkSession)
+    """``rows``: bounded training rows with doc_id, text and toxic."""
+    spark, size = rows.sparkSession, 1 << BITS
+    ship(spark)
+    rows = keep(rows.select("doc_id", "text", "toxic"), "training_rows")
+    of_class = {r["toxic"]: r["count"] for r in rows.groupBy("toxic").count().collect()}
+    if len(of_class) < 2:
+        return ToxicityModel(-30.0, np.zeros(size, np.float32))
+
+    def counted(batches):
+        import pyarrow as pa
+
+        for batch in size_bounded_batches(batches, 0, 1 << 20):
+            toxic = np.array(batch.column(1).to_pylist(), bool)
+            found = _features(Grams(batch.column(0).to_pylist(), max(ORDERS)))
+            every = np.concatenate(found)
+            bad = np.concatenate([f if t else f[:0] for f, t in zip(found, toxic, strict=True)])
+            texts, of_bad = np.bincount(every, minlength=size), np.bincount(bad, minlength=size)
+            some = np.flatnonzero(texts)
+            yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(texts[some]), pa.array(of_bad[some])], ["bucket", "texts", "bad"])
+
+    # one row for each bucket that occurs
+    counts = rows.select("text", "toxic").mapInArrow(counted, "bucket long, texts long, bad long").groupBy("bucket").agg(F.sum("texts").alias("texts"), F.sum("bad").alias("bad")).toArrow()
+    texts, bad = np.zeros(size), np.zeros(size)
+    texts[counts["bucket"].to_numpy()], bad[counts["bucket"].to_numpy()] = counts["texts"].to_numpy(), counts["bad"].to_numpy()
+    ratio = log_count_ratio(texts, bad, of_class[0], of_class[1])
+    says = spark.sparkContext.broadcast(ratio != 0)
 
     def make():
         import pyarrow as pa
 
-        return lambda texts: [pa.array([f.astype(np.int32) for f in _features(Grams(texts, max(ORDERS)))], pa.list_(pa.int32()))]
+        stays = says.value
+        return lambda texts: [pa.array([f[stays[f]].astype(np.int32) for f in _features(Grams(texts, max(ORDERS)))], pa.list_(pa.int32()))]
 
-    with bounded_batches(rows.sparkSession):
-        featured = with_columns_of_text(rows.select("doc_id", "text", "toxic"), "text", "buckets array<int>", make)
-        # bounded by the sample; in the order of ids, so that fits don't depend on how tasks were cut
-        table = featured.select("doc_id", "toxic", "buckets").toArrow().sort_by("doc_id").select(["toxic", "buckets"]).combine_chunks()
-    y = table["toxic"].to_numpy().astype(float)
-    if len(y) == 0 or y.min() == y.max():
-        return ToxicityModel(-30.0, np.zeros(1 << BITS, np.float32))
+    featured = with_columns_of_text(rows, "text", "buckets array<int>", make)
+    # bounded by the sample; in the order of ids, so that fits don't depend on how tasks were cut
+    table = featured.select("doc_id", "toxic", "buckets").toArrow().sort_by("doc_id").combine_chunks()
     lists = table["buckets"].combine_chunks() if table["buckets"].num_chunks != 1 else table["buckets"].chunk(0)
-    lens = np.diff(lists.offsets.to_numpy())
-    return _trained(lists.flatten().to_numpy(), lens, y)
+    return _trained(lists.flatten().to_numpy(), np.diff(lists.offsets.to_numpy()), table["toxic"].to_numpy().astype(float), ratio)
 
 
-def _trained(index: np.ndarray, lens: np.ndarray, y: np.ndarray, rounds: int = 60) -> ToxicityModel:
-    size = 1 << BITS
-    texts = np.bincount(index, minlength=size)
-    toxic = np.bincount(index[np.repeat(y > 0, lens)], minlength=size)
-    ratio = np.log(((toxic + 1) / (y.sum() + 2)) / ((texts - toxic + 1) / ((1 - y).sum() + 2)))
+def log_count_ratio(texts: np.ndarray, toxic: np.ndarray, n_other: int, n_toxic: int) -> np.ndarray:
+    """Of each bucket, from how many texts have it and how many of those are toxic; 0 where that says little."""
+    ratio = np.log(((toxic + 1) / (n_toxic + 2)) / ((texts - toxic + 1) / (n_other + 2)))
     ratio[(texts < LEAST_TEXTS) | (np.abs(ratio) < LEAST_RATIO)] = 0
-    stays = ratio[index] != 0
-    index, row = index[stays], np.repeat(np.arange(len(y), dtype=np.int32), lens)[stays]
+    return ratio
+
+
+def _trained(index: np.ndarray, lens: np.ndarray, y: np.ndarray, ratio: np.ndarray, rounds: int = 60) -> ToxicityModel:
+    size = len(ratio)
+    row = np.repeat(np.arange(len(y), dtype=np.int32), lens)
     each = np.where(y > 0, 0.5 / y.sum(), 0.5 / (1 - y).sum()) * len(y)  # both classes weigh the same
 
     value = ratio[index]
@@ -130,8 +155,8 @@ def _lbfgs(f, w: np.ndarray, rounds: int, memory: int = 8) -> np.ndarray:
     return w
 
 
-def score(docs: DataFrame, model: ToxicityModel, text_col: str = "text") -> DataFrame:
-    """All columns, and toxicity (0 to 1)."""
+def score(docs: DataFrame, model: ToxicityModel, text_col: str = "text", into: str = "toxicity") -> DataFrame:
+    """All columns, and the one named ``into``: toxicity from 0 to 1."""
     shared = docs.sparkSession.sparkContext.broadcast(model.weights)
     bias = model.bias
 
@@ -154,4 +179,4 @@ def score(docs: DataFrame, model: ToxicityModel, text_col: str = "text") -> Data
 
         return columns_of
 
-    return with_columns_of_text(docs, text_col, "toxicity double", make)
+    return with_columns_of_text(docs, text_col, f"`{into}` double", make)
