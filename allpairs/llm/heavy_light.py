@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 
 from allpairs.graph.components import components
 
-from .common import bounded_batches, forget, id_and_text, keep, ship, size_bounded_batches
+from .common import columns_of, forget, id_and_text, keep, ship, size_bounded_batches, spread_join, unused
 from .shingles import mixed, shingle_sets
 
 #: The first count of rarity looks at a part of all shingles: one and a half times what a set may lack, and half of this many 256ths.
@@ -50,6 +50,10 @@ MOST_LIGHT = 40
 BITMAP_WORDS = 8
 #: Sets of a component are compared in blocks of about this many, a block with a block in one task.
 BLOCK = 128
+#: And of about this many shingles, if the sets are large.
+BLOCK_SHINGLES = 1 << 20
+#: Rows of a list that are paired with each other in one task; longer lists are dealt in blocks.
+LIST_BLOCK = 2048
 
 
 @dataclass(frozen=True)
@@ -79,13 +83,27 @@ def _ceil(x: Column, y: int) -> Column:
     return ((up - F.pmod(up, F.lit(y))) / y).cast("long")
 
 
-def _sets(docs: DataFrame, k: int, share: int | None, counts_only: bool = False) -> DataFrame:
-    """row, doc_id, n, two digests, the chosen part of each document's shingles (all if share is None; left empty if only counts are wanted) and its size."""
+def _sets(docs: DataFrame, k: int, share: int | None, counts_only: bool = False, once: bool = False) -> DataFrame:
+    """row, doc_id, n, two digests, the chosen part of each document's shingles (all if share is None; left empty if only counts are wanted) and its size.
+
+    ``once`` leaves out rows that repeat one the task has just seen, so a large group of equal rows is one row a task.
+    """
 
     def made(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        seen: set[bytes] = set()
         for batch in size_bounded_batches(batches, 1, 1 << 20):
+            if once:
+                digests = batch.column(0).to_pylist()
+                fresh = []
+                for d in digests:
+                    fresh.append(d not in seen)
+                    seen.add(d)
+                if not all(fresh):
+                    batch = batch.filter(pa.array(fresh))
+                if len(seen) > 1 << 17:
+                    seen.clear()
             sets = shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), k)
             part = sets if share is None else [x[: np.searchsorted(x, np.uint64(share << 56))] for x in sets] if share < 256 else sets
             one = np.array([x.sum(dtype=np.uint64) for x in sets], np.uint64).view(np.int64)
@@ -132,7 +150,7 @@ def _subset_keys(light: DataFrame, boundary: int, similar: Similarity) -> DataFr
     def listed(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        for batch in batches:
+        for batch in (b.slice(at, 512) for b in batches for at in range(0, b.num_rows, 512)):
             ids, sizes, keys = [], [], []
             for set_id, n, elements in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 x = np.array(elements, np.int64).view(np.uint64)
@@ -150,8 +168,13 @@ def _subset_keys(light: DataFrame, boundary: int, similar: Similarity) -> DataFr
 
 
 def _counted(elements: DataFrame, *within: str) -> DataFrame:
-    """Rows (e, set_id, ...) that share their shingle with another set, and in how many it is; a hot shingle has a row a set, two numbers wide, and its window spills."""
-    return elements.withColumn("f", F.count("*").over(Window.partitionBy(*within, "e"))).filter("f > 1")
+    """Rows (e, set_id, ...) that share their shingle with another set, and in how many it is.
+
+    Counts are partly summed before they move; the rows of a hot shingle stay where they are and get its count by a broadcast.
+    """
+    keys = [*within, "e"]
+    counts = keep(elements.groupBy(*keys).agg(F.count("*").alias("f")).filter("f > 1"), "shingle_counts")
+    return spread_join(elements, counts, keys, "f")
 
 
 def _entries(full: DataFrame, own: Column, name: str) -> DataFrame:
@@ -169,15 +192,45 @@ def _verified(pairs: DataFrame, full: DataFrame, similar: Similarity) -> DataFra
     return met.filter(shared * similar.den >= (total - shared) * similar.num).select("a", "b")
 
 
-def _pairs(left: DataFrame, right: DataFrame, different: Column, boundary: int, similar: Similarity) -> DataFrame:
-    """Pairs of a list that may link: sizes fit, each lacks few enough of its own shingles, their bitmaps differ in few enough bits, and the path is the one for their sizes."""
-    low, high = F.least("l.n", "r.n"), F.greatest("l.n", "r.n")
-    may = (low * similar.den >= high * similar.num) & (F.least(F.col("l.n") - F.col("l.u"), F.col("r.n") - F.col("r.u")) >= similar.needs(F.col("l.n"), F.col("r.n")))
-    path = F.col("l.light") == (high <= boundary)
-    differ = sum((F.bit_count(F.col("l.bits")[k].bitwiseXOR(F.col("r.bits")[k])) for k in range(BITMAP_WORDS)), F.lit(0))
-    may = may & (differ <= F.col("l.n") + F.col("r.n") - 2 * similar.needs(F.col("l.n"), F.col("r.n")))
-    on = (F.col("l.light") == F.col("r.light")) & (F.col("l.cluster") == F.col("r.cluster")) & (F.col("l.key") == F.col("r.key")) & different & may & path
-    return left.alias("l").join(right.alias("r"), on).select(F.least("l.set_id", "r.set_id").alias("a"), F.greatest("l.set_id", "r.set_id").alias("b")).distinct()
+_LIST = ["light", "cluster", "key"]
+_MEMBER = ["set_id", "n", "u", "bits"]
+
+
+def _may_link(boundary: int, similar: Similarity) -> Column:
+    """Whether two sets of a list may link: sizes fit, each lacks few enough of its own shingles, their bitmaps differ in few enough bits, and the path is the one for their sizes."""
+    low, high = F.least("n", "n2"), F.greatest("n", "n2")
+    needs = similar.needs(F.col("n"), F.col("n2"))
+    may = (low * similar.den >= high * similar.num) & (F.least(F.col("n") - F.col("u"), F.col("n2") - F.col("u2")) >= needs)
+    differ = sum((F.bit_count(F.col("bits")[k].bitwiseXOR(F.col("bits2")[k])) for k in range(BITMAP_WORDS)), F.lit(0))
+    return may & (differ <= F.col("n") + F.col("n2") - 2 * needs) & (F.col("light") == (high <= boundary))
+
+
+def _second(rows: DataFrame, *more: str) -> DataFrame:
+    return rows.select(*_LIST, *more, *(F.col(c).alias(f"{c}2") for c in _MEMBER))
+
+
+def _ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("set_id", "set_id2").alias("a"), F.greatest("set_id", "set_id2").alias("b")).distinct()
+
+
+def _centre_pairs(lists: DataFrame, full: DataFrame, boundary: int, similar: Similarity) -> DataFrame:
+    """Each list's sets with its centre, the one with fewest shingles of its own."""
+    centres = lists.groupBy(*_LIST).agg(F.min(F.struct("u", "set_id", "n")).alias("c"), F.count("*").alias("size")).filter("size > 1").select(*_LIST, "size", "c.*")
+    centres = keep(centres.join(full.select("set_id", "n", "bits"), ["set_id", "n"]), "centres")
+    met = spread_join(lists.select(*_LIST, *_MEMBER), _second(centres, "size"), _LIST, "size")
+    return _ordered(met.filter((F.col("set_id") != F.col("set_id2")) & _may_link(boundary, similar)))
+
+
+def _cross_pairs(named: DataFrame, boundary: int, similar: Similarity) -> DataFrame:
+    """Pairs of a list whose sets are in different components; long lists are dealt in blocks, a block with a block in one task."""
+    lists = keep(named.groupBy(*_LIST).agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("size")).filter("lo < hi").select(*_LIST, "size"), "mixed_lists")
+    rows = spread_join(named, lists, _LIST, "size").withColumn("blocks", F.ceil(F.col("size") / LIST_BLOCK).cast("long"))
+    own = rows.withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    dealt = own.select(*_LIST, *_MEMBER, "label", "own", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"))
+    second = _second(dealt, "p", "q", F.col("label").alias("label2"), F.col("own").alias("own2"))
+    met = dealt.join(second, [*_LIST, "p", "q"])
+    apart = (F.col("set_id") < F.col("set_id2")) & (F.col("label") != F.col("label2")) & ((F.col("p") == F.col("q")) | (F.col("own") != F.col("own2")))
+    return _ordered(met.filter(apart & _may_link(boundary, similar)))
 
 
 def intersections(left: list[np.ndarray], right: list[np.ndarray], width: int = 4096) -> np.ndarray:
@@ -204,8 +257,9 @@ def intersections(left: list[np.ndarray], right: list[np.ndarray], width: int =
 
 def _links_inside(members: DataFrame, full: DataFrame, similar: Similarity) -> DataFrame:
     """set_id and linked, the number of documents of other sets that each links with: every pair of a component is verified, in blocks."""
-    sizes = members.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
-    placed = members.select("set_id", "component", "copies").join(sizes, "component").withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")))
+    blocks = F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("long")
+    sizes = keep(members.groupBy("component").agg(blocks.alias("blocks"), F.count("*").alias("size")), "component_sizes")
+    placed = spread_join(members.select("set_id", "component", "copies"), sizes, ["component"], "size").withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")))
     met = placed.join(full.select("set_id", "elements"), "set_id").withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     dealt = met.select("component", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "set_id", "copies", "elements")
 
@@ -249,54 +303,45 @@ def sets_and_components(docs: DataFrame, k: int = 5, similar: Similarity = Simil
     rows = rows.withColumn("row", _row("doc_id", F.col("text")))
     share = min(256, max(LOWEST_SHARE, 256 * 3 * (similar.den - similar.num) // (2 * similar.den) + LOWEST_SHARE // 2))
     digest = ["n", "one", "two"]
-    with bounded_batches(spark):
-        narrow = keep(_sets(rows, k, share, counts_only=True).select("row", "doc_id", *digest), "set_digests")
+    narrow = keep(_sets(rows, k, share, counts_only=True).select("row", "doc_id", *digest), "set_digests")
     groups = keep(narrow.filter("n > 0").groupBy(*digest).agg(F.min(_by_id("doc_id")).alias("best"), F.count("*").alias("copies")).select(*digest, "copies", F.col("best.id").alias("least_id"), "best.row", F.monotonically_increasing_id().alias("set_id")), "set_groups")
 
     # shingles are made a second time rather than kept: they take more room than the texts
     own = F.lit(1) + similar.lacks(F.col("n"))
-    with bounded_batches(spark):
-        chosen = _sets(rows, k, share).select("row", *digest, "part").join(groups, ["row", *digest]).select("set_id", F.explode("part").alias("e"))
-        # rows with one id and one text are told apart by nothing, so a shingle of one set is one whose least and greatest set are the same
-        seen = chosen.groupBy("e").agg(F.min("set_id").alias("set_id"), F.max("set_id").alias("other")).filter("set_id = other").groupBy("set_id").agg(F.count("*").alias("u"))
-        left_over = keep(groups.join(seen, "set_id", "left").filter(F.coalesce("u", F.lit(0)) < own).select("set_id", "row", *digest), "left_over")
+    chosen = _sets(rows, k, share, once=True).select("row", *digest, "part").join(groups, ["row", *digest]).select("set_id", F.explode("part").alias("e"))
+    # rows with one id and one text are told apart by nothing, so a shingle of one set is one whose least and greatest set are the same
+    seen = chosen.groupBy("e").agg(F.min("set_id").alias("set_id"), F.max("set_id").alias("other")).filter("set_id = other").groupBy("set_id").agg(F.count("*").alias("u"))
+    left_over = keep(groups.join(seen, "set_id", "left").filter(F.coalesce("u", F.lit(0)) < own).select("set_id", "row", *digest), "left_over")
 
     again = rows.join(left_over.select("row").distinct(), "row", "left_semi")
-    with bounded_batches(spark):
-        full = keep(_sets(again, k, None).join(left_over, ["row", *digest]).select("set_id", "n", F.col("part").alias("elements"), "bits").dropDuplicates(["set_id"]), "full_sets")
+    full = keep(_sets(again, k, None, once=True).join(left_over, ["row", *digest]).select("set_id", "n", F.col("part").alias("elements"), "bits").dropDuplicates(["set_id"]), "full_sets")
     if boundary is None:
         small = full.filter(F.col("n") <= MOST_LIGHT).groupBy("n").count().collect()
         boundary = choose_boundary({r["n"]: r["count"] for r in small}, similar)
 
     first = _entries(full.withColumn("cluster", F.lit(0).cast("long")), own, "entries_first")
     # sets that share no list can't link, so rarity may be counted again inside each cluster of lists: what is shared by accident only is then rare
-    least = first.groupBy("cluster", "key").agg(F.min("set_id").alias("b"), F.count("*").alias("size")).filter("size > 1").select("cluster", "key", "b")
-    edges = first.join(least, ["cluster", "key"]).filter("set_id <> b").select(F.col("set_id").alias("a"), "b").distinct()
+    least = keep(first.groupBy("cluster", "key").agg(F.min("set_id").alias("b"), F.count("*").alias("size")).filter("size > 1"), "least_of_lists")
+    edges = spread_join(first, least, ["cluster", "key"], "size").filter("set_id <> b").select(F.col("set_id").alias("a"), "b").distinct()
     clusters = keep(components(edges, partial(keep, name="clusters"), "a", "b").select(F.col("node").alias("set_id"), F.col("component").alias("cluster")).distinct(), "clustered")
     forget(first)
     entries = _entries(full.join(clusters, "set_id"), own, "entries")
-    with bounded_batches(spark, 4096):
-        listed = _subset_keys(full.filter(F.col("n") <= boundary), boundary, similar).select(F.lit(0).cast("long").alias("cluster"), "key", "set_id", "n", F.lit(0).cast("long").alias("u"), F.lit(True).alias("light"))
-        lists = keep(entries.withColumn("light", F.lit(False)).unionByName(listed).join(full.select("set_id", "n", "bits"), ["set_id", "n"]), "lists")
-
-    by_list = ["light", "cluster", "key"]
-    centres = lists.groupBy(*by_list).agg(F.min(F.struct("u", "set_id", "n")).alias("c"), F.count("*").alias("size")).filter("size > 1").select(*by_list, "c.*").join(full.select("set_id", "n", "bits"), ["set_id", "n"])
-    tried = keep(_pairs(lists, centres, F.col("l.set_id") != F.col("r.set_id"), boundary, similar), "centre_pairs")
-    links = keep(_verified(tried, full, similar), "centre_links")
+    listed = _subset_keys(full.filter(F.col("n") <= boundary), boundary, similar).select(F.lit(0).cast("long").alias("cluster"), "key", "set_id", "n", F.lit(0).cast("long").alias("u"), F.lit(True).alias("light"))
+    lists = keep(entries.withColumn("light", F.lit(False)).unionByName(listed).join(full.select("set_id", "n", "bits"), ["set_id", "n"]), "lists")
+
+    tried = keep(_centre_pairs(lists, full, boundary, similar), "centre_pairs")
+    found = keep(_verified(tried, full, similar), "centre_links")
     hold = partial(keep, name="stars")
-    labels = components(links, hold, "a", "b")
+    labels = components(found, hold, "a", "b")
     named = keep(lists.join(labels.withColumnRenamed("node", "set_id"), "set_id", "left").withColumn("label", F.coalesce("component", "set_id")).drop("component"), "named_lists")
-    mixed_lists = named.groupBy(*by_list).agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo < hi").select(*by_list)
-    open_rows = named.join(mixed_lists, by_list, "left_semi")
-    apart = (F.col("l.set_id") < F.col("r.set_id")) & (F.col("l.label") != F.col("r.label"))
-    rest = keep(_pairs(open_rows, open_rows, apart, boundary, similar).join(tried, ["a", "b"], "left_anti"), "cross_pairs")
+    rest = keep(_cross_pairs(named, boundary, similar).join(tried, ["a", "b"], "left_anti"), "cross_pairs")
     more = keep(_verified(rest, full, similar), "cross_links")
-    labels = keep(components(links.unionByName(more), hold, "a", "b"), "components")
+    labels = keep(components(found.unionByName(more), hold, "a", "b"), "components")
 
     sets = groups.join(labels.withColumnRenamed("node", "set_id"), "set_id", "left").withColumn("component", F.coalesce("component", "set_id"))
     if links:
-        found = _links_inside(sets.join(labels.withColumnRenamed("node", "set_id").select("set_id"), "set_id", "left_semi"), full, similar)
-        sets = sets.join(found, "set_id", "left").withColumn("n_links", F.col("copies") - 1 + F.coalesce("linked", F.lit(0))).drop("linked")
+        linked = _links_inside(sets.join(labels.withColumnRenamed("node", "set_id").select("set_id"), "set_id", "left_semi"), full, similar)
+        sets = sets.join(linked, "set_id", "left").withColumn("n_links", F.col("copies") - 1 + F.coalesce("linked", F.lit(0))).drop("linked")
     return narrow, keep(sets, "sets")
 
 
@@ -305,17 +350,23 @@ def join(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id
     narrow, sets = sets_and_components(docs, k, similar, id_col, text_col, boundary, links)
     counts = ["n_links"] if links else []
     least = sets.groupBy("component").agg(F.min("least_id").alias("component_id"))
-    named = keep(sets.join(least, "component").select("n", "one", "two", F.lit(True).alias("worded"), "component_id", *counts), "named_sets")
-    placed = narrow.join(named, ["n", "one", "two"], "left")
+    named = keep(sets.join(least, "component").select("n", "one", "two", "copies", F.lit(True).alias("worded"), "component_id", *counts), "named_sets")
+    placed = spread_join(narrow, named, ["n", "one", "two"], "copies", "left")
     return placed.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("worded"), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"), *(F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in counts))
 
 
 def without_near_copies(docs: DataFrame, k: int = 5, similar: Similarity = Similarity(4, 5), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row of each component, that of its least id (one without an id only if none has one), and every row without words."""
+    """One row of each component, that of its least id (one without an id only if none has one), and every row without words.
+
+    Of rows with one id and one text any one stays.  All columns of ``docs`` come back as they were.
+    """
     narrow, sets = sets_and_components(docs, k, similar, id_col, text_col)
-    first = sets.groupBy("component").agg(F.min(_by_id("least_id")).alias("best")).select("best.row", F.lit(True).alias("_worded"))
-    stay = keep(first.unionByName(narrow.filter("n = 0").select("row", F.lit(False).alias("_worded")).distinct()).withColumnRenamed("row", "_row"), "rows_that_stay")
-    kept = docs.withColumn("_row", _row(id_col, F.coalesce(F.col(text_col), F.lit("")))).join(stay, "_row")
-    # rows with one id and one text are one copy group
-    number = F.row_number().over(Window.partitionBy("_row").orderBy("_worded"))
-    return kept.withColumn("_number", number).filter(~F.col("_worded") | (F.col("_number") == 1)).select(*docs.columns)
+    first = sets.groupBy("component").agg(F.min(_by_id("least_id")).alias("best")).select("best.row", F.lit(True).alias("worded"))
+    wordless = narrow.filter("n = 0").select("row", F.lit(False).alias("worded")).distinct()
+    row, worded, size = unused(docs, "row", "worded", "size")
+    stay = narrow.groupBy("row").agg(F.count("*").alias(size)).join(first.unionByName(wordless), "row")
+    stay = keep(stay.select(F.col("row").alias(row), F.col("worded").alias(worded), size), "rows_that_stay")
+    kept = spread_join(docs.withColumn(row, _row(id_col, F.coalesce(F.col(text_col), F.lit("")))), stay, [row], size)
+    # rows with one id and one text are one copy group; of each task's one goes on
+    single = kept.filter(F.col(worded)).groupBy(row).agg(F.first(F.struct(*columns_of(docs))).alias(worded)).select(f"{worded}.*")
+    return kept.filter(~F.col(worded)).select(*columns_of(docs)).unionByName(single)
