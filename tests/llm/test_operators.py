@@ -322,7 +322,7 @@ def test_unigram_search_by_brute_force(tmp_path):
         return max(ways)
 
     for word in ("▁the", "▁mat.", "▁internal", "▁facade", "▁unbel", "▁a1b2c3"):
-        for found in (own.search([word])[0], own.search_one(word)):
+        for found in (own.search([word])[0], own.search([word, word + "xyz"])[0]):
             assert sum(own.scores[k] for k in found) == best(word)[0]
 
 
