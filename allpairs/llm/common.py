@@ -111,18 +111,6 @@ def size_bounded_batches(batches, text_at: int, max_bytes: int = 4 << 20):
             at = to
 
 
-@contextlib.contextmanager
-def bounded_batches(spark: SparkSession, rows: int = 512):
-    """Few rows in one Arrow batch while a Python stage runs, as texts may be long."""
-    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(name)
-    spark.conf.set(name, str(rows))
-    try:
-        yield
-    finally:
-        spark.conf.set(name, before)
-
-
 def unused(df: DataFrame, *names: str) -> list[str]:
     """Names like the given ones that no column of ``df`` has, whatever the case."""
     taken, out = {c.lower() for c in df.columns}, []
