@@ -80,7 +80,7 @@ def verify_whole(copies: DataFrame, measure: Measure, t: float, inclusive: bool
 
 
 def verify_indexed(copies: DataFrame, measure: Measure, t: float, inclusive: bool = True) -> DataFrame:
-    """The same inside one task for each key: records in order of size, each compared with those of the sizes it may pair with."""
+    """The same inside one task for each key: records in order of size, each compared at once with all those of the sizes it may pair with."""
     from pyspark.sql.types import DoubleType, StructField, StructType
 
     ship(copies.sparkSession)
@@ -89,19 +89,27 @@ def verify_indexed(copies: DataFrame, measure: Measure, t: float, inclusive: boo
     window = measure.len_range
 
     def kernel(pdf):
-        import bisect
-
+        import numpy as np
         import pandas as pd
 
-        pdf = pdf.sort_values("n", ignore_index=True)
-        sizes, ids = pdf["n"].tolist(), pdf["entity"].tolist()
-        sets = [frozenset(map(repr, x)) for x in pdf["items"]]
-        rows = []
-        for k, n in enumerate(sizes):
-            for j in range(bisect.bisect_left(sizes, window(n, t)[0] - 1e-6), k):
-                a, b = (k, j) if ids[k] < ids[j] else (j, k)
-                rows.append((ids[a], ids[b], float(len(sets[a] & sets[b])), float(sizes[a]), float(sizes[b])))
-        return pd.DataFrame(rows, columns=["e1", "e2", "shared", "n1", "n2"])
+        pdf = pdf.sort_values(["n", "entity"], ignore_index=True)
+        sizes, ids = pdf["n"].to_numpy(), pdf["entity"].to_numpy()
+        ends = np.concatenate([[0], np.cumsum(pdf["items"].map(len).to_numpy())])
+        codes = pd.factorize(np.concatenate(pdf["items"].map(np.asarray).tolist()))[0]
+        here = np.zeros(codes.max(initial=-1) + 1, np.int64)
+        parts = []
+        for k in range(1, len(pdf)):
+            low = int(np.searchsorted(sizes, window(float(sizes[k]), t)[0] - 1e-6))
+            if low >= k:
+                continue
+            mine = codes[ends[k] : ends[k + 1]]
+            here[mine] = 1
+            shared = np.add.reduceat(here[codes[ends[low] : ends[k]]], ends[low:k] - ends[low])
+            here[mine] = 0
+            other = slice(low, k)
+            first = ids[other] < ids[k]
+            parts.append(pd.DataFrame({"e1": np.where(first, ids[other], ids[k]), "e2": np.where(first, ids[k], ids[other]), "shared": shared.astype(float), "n1": np.where(first, sizes[other], sizes[k]).astype(float), "n2": np.where(first, sizes[k], sizes[other]).astype(float)}))
+        return pd.concat(parts) if parts else pd.DataFrame({c: [] for c in ("e1", "e2", "shared", "n1", "n2")})
 
     found = copies.select("key", "entity", "n", "items").groupBy("key").applyInPandas(kernel, schema)
     return found.withColumn("sim", _sim(measure, F.col("shared"), F.col("n1"), F.col("n2"))).filter(measure.passes(F.col("sim"), t, inclusive)).select("e1", "e2", "sim").distinct()

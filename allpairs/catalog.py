@@ -16,8 +16,8 @@ from .baselines.prefix_replication import prefix_replication, rejoin_records, re
 from .graph.components import communities
 from .join import attach, similarity_join, similarity_join_rs, top_k
 from .model import as_sets, expand_to_set, to_wide
-from .partials import decompose_disjunctive, disjunctive_sums, unilateral_totals
-from .preprocess import element_frequency, frequency_histogram, shuffle_alphabet, size_histogram
+from .partials import decompose_disjunctive, disjunctive_sums, measure_of, unilateral_totals
+from .preprocess import element_frequency, frequency_histogram, idf_weighted, shuffle_alphabet, size_histogram
 from .similarity.index import pair_increments
 from .sources.tables import read_table
 from .workloads import RAW_SQL, WORKLOADS
@@ -64,7 +64,7 @@ def _joining() -> None:
     def rows(**options) -> Query:
         return lambda s, d: attach(WORKLOADS[w](s, d), M.ruzicka(), **options).select("entity", "element", "mult", "uni_card")
 
-    for impl in ("window", "tagged", "smj", "salted", "buffered"):
+    for impl in ("window", "tagged", "smj", "salted", "buffered", "cogrouped"):
         add(f"joined_online_{impl}", rows(impl=impl), sql)
     add("joined_lookup", rows(joining="lookup"), sql)
     for c in (0, 32, 510, 1_000_000):
@@ -74,6 +74,12 @@ def _joining() -> None:
     add("joined_auto", rows(joining="auto"), sql)
     from .joining.online import attach_online
 
+    # fractions, and a total of the measure's own
+    vectors = "SELECT entity, element, round(mult, 6) AS mult, round(sum(mult * mult) OVER (PARTITION BY entity), 6) AS uni_sumsq, round(sum(abs(mult)) OVER (PARTITION BY entity), 6) AS uni_l1 FROM (%s)" % RAW_SQL["embeddings"]
+    for name, options in (("window", {}), ("smj", {"impl": "smj"}), ("smj_none", {"impl": "smj", "combiner": "none"}), ("tagged", {"impl": "tagged"}), ("tagged_none", {"impl": "tagged", "combiner": "none"}), ("tagged_partition", {"impl": "tagged", "combiner": "partition"}), ("salted", {"impl": "salted"}), ("buffered", {"impl": "buffered"}), ("cogrouped", {"impl": "cogrouped"})):
+        add(f"joined_vectors_{name}", lambda s, d, o=options: attach_online(WORKLOADS["embeddings"](s, d), M.cosine("vector"), M.cosine("vector", norm="l1"), **o).select("entity", "element", *(F.round(c, 6).alias(c) for c in ("mult", "uni_sumsq", "uni_l1"))), vectors)
+    for name in ("lookup", "sharding"):
+        add(f"joined_vectors_{name}", lambda s, d, n=name: attach(WORKLOADS["embeddings"](s, d), M.cosine("vector"), M.cosine("vector", norm="l1"), joining=n, C=20).select("entity", "element", *(F.round(c, 6).alias(c) for c in ("mult", "uni_sumsq", "uni_l1"))), vectors)
     for combiner in ("partition", "none"):
         add(f"joined_combiner_{combiner}", lambda s, d, c=combiner: attach_online(WORKLOADS[w](s, d), M.ruzicka(), impl="tagged" if c == "partition" else "smj", combiner=c).select("entity", "element", "mult", "uni_card"), sql)
 
@@ -92,6 +98,15 @@ def _measures() -> None:
     add("pairs_symmetric_difference_doc_shingles", _pairs("doc_shingles", "symmetric_difference", 60), oracles.pairs("doc_shingles", "symmetric_difference", 60, distance=True))
     add("pairs_bray_curtis_doc_shingles", _pairs("doc_shingles", "bray_curtis", 0.5), oracles.pairs("doc_shingles", "bray_curtis", 0.5, distance=True))
     add("pairs_squared_l2_user_props", _pairs("user_props", "squared_l2", 90), oracles.pairs("user_props", "squared_l2", 90, distance=True))
+    weights = f"WITH r AS MATERIALIZED ({RAW_SQL['doc_shingles']}), n AS (SELECT count(DISTINCT entity) AS n FROM r), f AS (SELECT element, count(*) AS f FROM r GROUP BY element) SELECT entity, element, round(ln(n / f) * 1000000)::BIGINT AS mult FROM r JOIN f USING (element), n WHERE f < n"
+    add("pairs_weighted_jaccard_idf_doc_shingles", lambda s, d: _rounded(similarity_join(idf_weighted(WORKLOADS["doc_shingles"](s, d)), "weighted_jaccard_idf", 0.5, unique=True)), oracles.pairs("doc_shingles", "ruzicka", 0.5, raw_sql=weights))
+
+    def registered(s, d):
+        """Kulczynski's measure, made of plain functions and known by name from then on."""
+        M.register_measure(measure_of("kulczynski", {"n": lambda x, y: int(x > 0), "o": lambda x, y: int(x > 0 and y > 0)}, {"n": lambda f, g: (f > 0).cast("long"), "o": lambda f, g: ((f > 0) & (g > 0)).cast("long")}, lambda c, a, b: (c["o"].cast("double") / a["n"].cast("double") + c["o"].cast("double") / b["n"].cast("double")) / 2))
+        return _rounded(similarity_join(WORKLOADS["user_props"](s, d), "kulczynski", 0.4, unique=True))
+
+    add("pairs_registered_measure_user_props", registered, oracles.pairs("user_props", "kulczynski", 0.4))
     rewritten = decompose_disjunctive("union_direct", lambda a, b: F.greatest(a, b))
     add("pairs_decomposed_union_supp_parts", _pairs("supp_parts", rewritten, 20000), oracles.pairs("supp_parts", "union_size", 20000))
     add("symdiff_direct_supp_parts", lambda s, d: disjunctive_sums(WORKLOADS["supp_parts"](s, d), similarity_join(WORKLOADS["supp_parts"](s, d), "overlap", 1, unique=True), lambda a, b: F.abs(a - b)).select("e1", "e2", F.col("value").cast("double").alias("sim")), oracles.pairs("supp_parts", "symmetric_difference", 1e12, distance=True))
@@ -124,6 +139,12 @@ def _variants() -> None:
     add("pairs_chunked_flagged", _pairs("doc_shingles", "ruzicka", 0.5, similarity="chunked", T=3, freq_limit=30), sql)
     add("pairs_chunked_ordered", _pairs("doc_shingles", "ruzicka", 0.5, similarity="chunked", T=4, chunk_pairs="ordered"), sql)
     add("pairs_chunked_stopwords_page_words", _pairs("page_words", "ruzicka", 0.5, similarity="chunked", T=3, q=50), oracles.pairs("page_words", "ruzicka", 0.5, q=50))
+    add("pairs_chunked_pruned_t4", _pairs("doc_shingles", "ruzicka", 0.5, similarity="chunked", T=4, prune=True), sql)
+    add("pairs_chunked_pruned_page_words", _pairs("page_words", "cosine_multiset", 0.8, similarity="chunked", max_list_rows=50, prune=True), oracles.pairs("page_words", "cosine_multiset", 0.8))
+    add("pairs_chunked_pruned_ordered", _pairs("doc_shingles", "ruzicka", 0.5, similarity="chunked", T=3, chunk_pairs="ordered", prune=True), sql)
+    for w, m, t in (("doc_shingles", "ruzicka", 0.5), ("order_parts", "jaccard", 0.5), ("user_props", "ruzicka", 0.3)):
+        add(f"pairs_auto_{w}", _pairs(w, m, t, similarity="auto", joining="auto"), oracles.pairs(w, m, t))
+    add("pairs_auto_chunked_page_words", _pairs("page_words", "cosine_multiset", 0.8, similarity="auto", max_list_rows=64), oracles.pairs("page_words", "cosine_multiset", 0.8))
     add("pairs_list_index", _pairs("doc_shingles", "ruzicka", 0.5, similarity="list"), sql)
     add("pairs_aqe_skew", _pairs("doc_shingles", "ruzicka", 0.5, similarity="aqe"), sql)
     add("pairs_hash_index", _pairs("doc_shingles", "ruzicka", 0.5, hint="shuffle_hash"), sql)
@@ -193,6 +214,15 @@ def _graphs_and_quality() -> None:
 
         one = " UNION ALL ".join(f"SELECT CAST({x} AS DOUBLE) AS t, (SELECT count(*) FROM p WHERE sim >= {x}) AS pairs, (SELECT count(*) FROM (SELECT e1 FROM p WHERE sim >= {x} UNION SELECT e2 FROM p WHERE sim >= {x})) AS covered, (SELECT count(*) FROM p JOIN {table} a ON a.{key} = e1 JOIN {table} b ON b.{key} = e2 WHERE sim >= {x} AND a.{value} <> b.{value}) AS differ" for x in steps)
         add(f"coverage_fp_{w}", judged, f"WITH p AS MATERIALIZED ({oracles.pairs(w, t, low)}) {one}")
+    p = oracles.pairs("doc_shingles", "ruzicka", 0.1)
+
+    def sampled(s, d):
+        evidence = read_table(s, d, "documents", ["doc_id", "lang"]).select(F.col("doc_id").alias("entity"), F.col("lang").alias("value"))
+        return quality.false_positive_rate(similarity_join(WORKLOADS["doc_shingles"](s, d), "ruzicka", 0.1, unique=True), evidence, sample_of=2)
+
+    differ = "(count(*) FILTER (WHERE a.lang <> b.lang))::BIGINT"
+    add("false_positive_sampled_doc_shingles", sampled, f"SELECT count(*) AS pairs, {differ} AS differ, round({differ}::DOUBLE / greatest(count(*), 1), 9) AS rate FROM ({p}) JOIN documents a ON a.doc_id = e1 JOIN documents b ON b.doc_id = e2 WHERE substr(md5(e1 || ':' || e2 || ':0'), 1, 4) < '8000'")
+    add("coverage_min50_doc_shingles", lambda s, d: quality.coverage(similarity_join(WORKLOADS["doc_shingles"](s, d), "ruzicka", 0.1, min_elements=50, unique=True)), f"WITH p AS ({oracles.pairs('doc_shingles', 'ruzicka', 0.1, min_elements=50)}) SELECT count(*)::BIGINT AS covered FROM (SELECT e1 FROM p UNION SELECT e2 FROM p)")
     add("coverage_doc_shingles", lambda s, d: quality.coverage(similarity_join(WORKLOADS["doc_shingles"](s, d), "ruzicka", 0.1, unique=True)), f"WITH p AS ({oracles.pairs('doc_shingles', 'ruzicka', 0.1)}) SELECT count(*)::BIGINT AS covered FROM (SELECT e1 FROM p UNION SELECT e2 FROM p)")
     add("profile_ratio_doc_words", lambda s, d: quality.profile_ratio(WORKLOADS["doc_words"](s, d)), f"SELECT round(count(DISTINCT element)::DOUBLE / count(DISTINCT entity), 9) AS ratio FROM ({RAW_SQL['doc_words']})")
 

@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import threading
 import time
 from collections.abc import Callable
 from dataclasses import dataclass
 from statistics import median
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -53,21 +55,44 @@ def selectivity(candidates: DataFrame, result: DataFrame) -> DataFrame:
 
 @dataclass(frozen=True)
 class RunOutcome:
-    state: str  # ok, table_too_large, over_budget, failed
+    state: str  # ok, table_too_large, over_budget, timeout, failed
     seconds: float | None = None
     rows: int | None = None
     reason: str = ""
 
 
-def run(make: Callable[[], DataFrame]) -> RunOutcome:
-    """Runs a query to its end without keeping its rows."""
+def run(make: Callable[[], DataFrame], most_seconds: float | None = None) -> RunOutcome:
+    """Runs a query to its end without keeping its rows; after ``most_seconds`` its jobs are cancelled.
+
+    What Spark gives up on, as for want of memory or disk, is ``failed`` with the first line of why.
+    """
+    from pyspark import SparkContext
+    from pyspark.errors import PySparkException
+
+    context, tag = SparkContext._active_spark_context, f"allpairs-run-{time.time_ns()}"
+    late = threading.Event()
+
+    def stop() -> None:
+        late.set()
+        context.cancelJobsWithTag(tag)
+
+    timer = threading.Timer(most_seconds, stop) if most_seconds is not None else None
     began = time.perf_counter()
+    if timer:
+        context.addJobTag(tag)
+        timer.start()
     try:
         rows = make().count()
     except LookupTableTooLarge as e:
         return RunOutcome("table_too_large", reason=str(e))
     except OverBudget as e:
         return RunOutcome("over_budget", reason=str(e))
+    except (PySparkException, Py4JJavaError) as e:
+        return RunOutcome("timeout" if late.is_set() else "failed", time.perf_counter() - began, reason=str(e).strip().splitlines()[0][:300])
+    finally:
+        if timer:
+            timer.cancel()
+            context.removeJobTag(tag)
     return RunOutcome("ok", time.perf_counter() - began, rows)
 
 

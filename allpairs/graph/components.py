@@ -12,6 +12,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..scratch import written
+
 
 def _large_star(edges: DataFrame) -> DataFrame:
     """Every node sends its larger neighbours to the least node it sees."""
@@ -44,21 +46,6 @@ def components(edges: DataFrame, keep: Callable[[DataFrame], DataFrame], a: str
 
 def communities(pairs: DataFrame, keep: Callable[[DataFrame], DataFrame] | None = None, min_size: int = 2) -> DataFrame:
     """entity, community (its least entity) and size, for the connected groups of similar pairs."""
-    cut = keep or (lambda df: df.checkpoint())
-    if keep is None and pairs.sparkSession.sparkContext.getCheckpointDir() is None:
-        _checkpoint_dir(pairs.sparkSession)
-    found = components(pairs, cut).select(F.col("node").alias("entity"), F.col("component").alias("community"))
+    found = components(pairs, keep or (lambda df: written(df, "stars"))).select(F.col("node").alias("entity"), F.col("component").alias("community"))
     sizes = found.groupBy("community").agg(F.count("*").alias("size")).filter(F.col("size") >= min_size)
     return found.join(sizes, "community").select("entity", "community", "size")
-
-
-def _checkpoint_dir(spark) -> None:
-    """The folder all executors share; a temporary one only on a local master where none is set."""
-    base = spark.conf.get("spark.checkpoint.dir", "")
-    if not base:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        import tempfile
-
-        base = tempfile.mkdtemp(prefix="allpairs-checkpoints-")
-    spark.sparkContext.setCheckpointDir(base)

@@ -11,7 +11,8 @@ from .measures import Measure, by_name
 from .model import normalize_raw
 from .partials import unilateral_totals
 from .preprocess import drop_small_entities, drop_stop_words
-from .similarity.chunked import pair_increments_chunked
+from .scratch import once
+from .similarity.chunked import LIST_ROWS, pair_increments_chunked
 from .similarity.index import increments_between, pair_increments
 from .similarity.score import score_pairs, summed_pairs, value_of
 
@@ -52,7 +53,7 @@ def similarity_join(
     stopword_scope: str = "before_totals",
     stopword_impl: str = "count",
     T: int | None = None,  # noqa: N803
-    max_list_rows: int = 100_000,
+    max_list_rows: int = LIST_ROWS,
     freq_limit: int | None = None,
     chunk_pairs: str = "unordered",
     min_elements: int | None = None,
@@ -66,10 +67,14 @@ def similarity_join(
     route_giants: bool = True,
     symmetric_output: bool = False,
     unique: bool = False,
+    guards: bool | None = None,
+    most_increments: int | None = None,
 ) -> DataFrame:
     """Every pair e1 < e2 that shares an element and passes t, exactly.
 
     With ``measures`` several are computed in one run: a pair is given if the first passes t, with one ``sim_<name>`` each.
+    ``similarity='auto'`` counts the input first and takes chunks and bounds from that; it also refuses, as ``guards`` does
+    for any other, inputs that an index doesn't help and, with ``most_increments``, those that would emit more.
     """
     m = _measure(measures[0] if measures else measure)
     others = [_measure(x) for x in measures[1:]] if measures else []
@@ -81,14 +86,30 @@ def similarity_join(
         cells = drop_small_entities(cells, min_elements)
     if q is not None and stopword_scope == "before_totals":
         cells = drop_stop_words(cells, q, stopword_impl)
+    if similarity == "auto" or guards or most_increments is not None:
+        cells = once(cells, "cells")
+        stats = planner.statistics(cells)
+        if guards or guards is None and similarity == "auto":
+            planner.check_applicability(stats)
+        if most_increments is not None:
+            planner.check_increments(stats, most_increments)
+        if similarity == "auto":
+            plan = planner.choose_similarity(stats, not others and m.bound is not None, max_list_rows)
+            similarity, prune = plan.similarity, plan.prune
+        if joining == "auto":
+            joining = planner.choose_joining(stats, max_table_bytes)
     joined = attach(cells, *everyone, joining=joining, C=C, impl=impl, salt=salt, max_table_bytes=max_table_bytes, on_overflow=on_overflow, route_giants=route_giants)
     if q is not None and stopword_scope == "index_only":
         joined = drop_stop_words(joined, q, "count")
     if similarity == "chunked":
-        increments = pair_increments_chunked(joined, T, max_list_rows, freq_limit, chunk_pairs)
+        joined = once(joined, "joined_rows")
+        bounds = ((m,), t) if prune and not others else ((), None)
+        increments = pair_increments_chunked(joined, T, max_list_rows, freq_limit, chunk_pairs, *bounds)
     elif similarity in ("index", "aqe"):
         increments = pair_increments(joined, everyone if not others else (m,), t, prune=prune, hint=None if similarity == "aqe" else hint)
     elif similarity == "list":
+        if prune:
+            raise ValueError("lists that are gathered in memory are not pruned; take index or chunked")
         increments = pair_increments(joined, impl="list")
     else:
         raise ValueError(f"no similarity phase is called {similarity}")

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..measures import Measure
 from ..partials import totals_wanted, unilateral_totals
+from ..scratch import once, written
 
 #: What Spark can broadcast at all.
 MOST_ROWS = 512_000_000
@@ -30,10 +31,14 @@ def footprint(totals: DataFrame) -> tuple[int, int]:
 
 
 def attach_lookup(raw: DataFrame, *measures: Measure, max_table_bytes: int = DEFAULT_BYTES, totals: DataFrame | None = None) -> DataFrame:
-    """Raises LookupTableTooLarge if the table of totals is over the budget; it is measured, not guessed."""
+    """Raises LookupTableTooLarge if the table of totals is over the budget; it is measured, not guessed.
+
+    The table is written once and measured and broadcast from there; so are raw rows that are themselves made by more than a scan.
+    """
     if not totals_wanted(measures):
         return raw
-    table = lookup_build(raw, *measures) if totals is None else totals
+    raw = once(raw, "raw_rows")
+    table = written(lookup_build(raw, *measures), "totals") if totals is None else totals
     rows, size = footprint(table)
     if rows > MOST_ROWS or size > max_table_bytes:
         raise LookupTableTooLarge(f"{rows} entities take about {size} bytes; the budget is {max_table_bytes}")

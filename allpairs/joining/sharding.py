@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from ..measures import Measure
 from ..partials import totals_wanted, unilateral_totals
+from ..scratch import once, written
 from .lookup import DEFAULT_BYTES, MOST_ROWS, LookupTableTooLarge, footprint
 
 
@@ -26,10 +27,17 @@ def attach_sharding(raw: DataFrame, *measures: Measure, C: int = 1000, fingerpri
     wanted = totals_wanted(measures)
     if not wanted:
         return raw
-    giants = sharded_totals(raw, *measures, C=C)
+    raw = once(raw, "raw_rows")
+    giants = written(sharded_totals(raw, *measures, C=C), "giant_totals")
     rows, size = footprint(giants)
     if rows > MOST_ROWS or size > max_table_bytes:
         raise LookupTableTooLarge(f"{rows} entities of more than {C} elements take about {size} bytes; the budget is {max_table_bytes}")
+    return routed_rows(raw, giants, measures, fingerprint_buckets, route_giants)
+
+
+def routed_rows(raw: DataFrame, giants: DataFrame, measures: tuple[Measure, ...], fingerprint_buckets: int = 64, route_giants: bool = True) -> DataFrame:
+    """Rows of giants with their totals from the table, all others with totals made in place; the table is broadcast."""
+    wanted = totals_wanted(measures)
     table = giants.select("entity", *(F.col(f"uni_{n}").alias(f"_big_{n}") for n in wanted), F.lit(True).alias("_giant"))
     of = {name: m for m in measures for name in m.uni}
     if not route_giants:

@@ -17,13 +17,14 @@ from pyspark.sql import functions as F
 #: Guards a ceiling against products like 0.1 * 30, which exceed the whole number in binary.
 SLACK = 1e-9
 
-#: Totals of one entity: an aggregate over its rows.
+#: Totals of one entity: what each of its rows adds, and how that is put together if not by a sum.
 TOTALS: dict[str, Callable[[Column], Column]] = {
-    "card": lambda f: F.sum(f),
-    "ucard": lambda f: F.count(f),
-    "sumsq": lambda f: F.sum(f * f),
-    "maxf": lambda f: F.max(f),
+    "card": lambda f: f,
+    "ucard": lambda f: F.when(f.isNotNull(), 1).otherwise(0).cast("long"),
+    "sumsq": lambda f: f * f,
+    "maxf": lambda f: f,
 }
+MERGES = {"maxf": "max"}
 
 
 class UnsupportedMeasure(ValueError):
@@ -46,11 +47,21 @@ class Measure:
     symmetric: bool = True
     signed: bool = False
     digits: int | None = None
+    #: Totals of the measure's own, by what each row adds; ``merges`` says max or min for those that aren't sums.
     totals: dict[str, Callable[[Column], Column]] = field(default_factory=dict)
+    merges: dict[str, str] = field(default_factory=dict)
 
-    def total(self, name: str) -> Callable[[Column], Column]:
+    def each(self, name: str) -> Callable[[Column], Column]:
+        """What one row adds to a total."""
         return self.totals.get(name) or TOTALS[name]
 
+    def merge(self, name: str) -> str:
+        return self.merges.get(name) or MERGES.get(name, "sum")
+
+    def total(self, name: str) -> Callable[[Column], Column]:
+        """The total as an aggregate over an entity's rows."""
+        return lambda f: getattr(F, self.merge(name))(self.each(name)(f))
+
     def passes(self, sim: Column, t: float, inclusive: bool = True) -> Column:
         if self.distance:
             return sim <= t if inclusive else sim < t
@@ -107,7 +118,7 @@ def cosine(kind: str = "set", norm: str = "l2", signed: bool = False) -> Measure
         return Measure(f"cosine_{kind}", (total,), {"o": shared}, lambda c, a, b: _d(c["o"]) / F.sqrt(_d(a[total]) * _d(b[total])), _ratio_bound(total, lambda x, y: F.sqrt(x / y)), **_COSINE, sets=kind == "set")
     product = _product if signed else lambda f, g: F.abs(f) * F.abs(g)
     if norm == "l1":
-        return Measure("cosine_vector_l1", ("l1",), {"dot": product}, lambda c, a, b: _d(c["dot"]) / (_d(a["l1"]) * _d(b["l1"])), signed=True, digits=9, totals={"l1": lambda f: F.sum(F.abs(f))})
+        return Measure("cosine_vector_l1", ("l1",), {"dot": product}, lambda c, a, b: _d(c["dot"]) / (_d(a["l1"]) * _d(b["l1"])), signed=True, digits=9, totals={"l1": lambda f: F.abs(f)})
     return Measure("cosine_vector", ("sumsq",), {"dot": product}, lambda c, a, b: _d(c["dot"]) / F.sqrt(_d(a["sumsq"]) * _d(b["sumsq"])), signed=True, digits=9)
 
 
@@ -153,6 +164,14 @@ def bray_curtis() -> Measure:
     return Measure("bray_curtis", ("card",), {"o": _least}, lambda c, a, b: 1 - 2 * _d(c["o"]) / _d(a["card"] + b["card"]), distance=True)
 
 
+def weighted_jaccard(weight: str = "idf", scale: int = 1_000_000) -> Measure:
+    """Sum of the weights of shared elements over that of all: Ruzicka of rows whose multiplicity is the weight.
+
+    :func:`allpairs.preprocess.idf_weighted` gives such rows, in whole ``scale``-ths, so sums are exact in any order.
+    """
+    return Measure(f"weighted_jaccard_{weight}", ("card",), {"o": _least}, lambda c, a, b: _d(c["o"]) / _d(a["card"] + b["card"] - c["o"]), _ratio_bound("card", lambda x, y: x / y), **_JACCARD)
+
+
 _MADE: dict[str, Callable[[], Measure]] = {
     "jaccard": jaccard,
     "ruzicka": ruzicka,
@@ -171,6 +190,7 @@ _MADE: dict[str, Callable[[], Measure]] = {
     "tanimoto": tanimoto,
     "squared_l2": squared_l2,
     "bray_curtis": bray_curtis,
+    "weighted_jaccard_idf": weighted_jaccard,
 }
 
 

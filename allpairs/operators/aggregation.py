@@ -39,7 +39,8 @@ op("agg_unpivot", lambda s, d: _t(s, d, "labels").select("doc_id", "quality", "t
 op("agg_max_by", lambda s, d: _t(s, d, "orders").groupBy("o_custkey").agg(F.max_by("o_orderkey", F.struct("o_totalprice", "o_orderkey")).alias("dearest"), F.min_by("o_orderkey", F.struct("o_totalprice", "o_orderkey")).alias("cheapest")), "SELECT o_custkey, arg_max(o_orderkey, (o_totalprice, o_orderkey)) AS dearest, arg_min(o_orderkey, (o_totalprice, o_orderkey)) AS cheapest FROM orders GROUP BY o_custkey")
 op("agg_bool", lambda s, d: _t(s, d, "lineitem").groupBy("l_orderkey").agg(F.bool_and(F.col("l_quantity") > 5).alias("every"), F.bool_or(F.col("l_quantity") > 45).alias("some")), "SELECT l_orderkey, bool_and(l_quantity > 5) AS every, bool_or(l_quantity > 45) AS some FROM lineitem GROUP BY l_orderkey")
 op("agg_statistics", lambda s, d: _t(s, d, "lineitem").agg(*(F.round(f, 4).alias(n) for n, f in (("sd", F.stddev("l_quantity")), ("va", F.var_pop("l_quantity")), ("co", F.corr("l_quantity", "l_extendedprice")), ("cv", F.covar_pop("l_quantity", "l_discount"))))), "SELECT round(stddev(l_quantity), 4) AS sd, round(var_pop(l_quantity), 4) AS va, round(corr(l_quantity, l_extendedprice), 4) AS co, round(covar_pop(l_quantity, l_discount), 4) AS cv FROM lineitem")
-op("agg_shape", lambda s, d: _t(s, d, "lineitem").agg(F.round(F.skewness("l_quantity"), 4).alias("skew"), F.round(F.kurtosis("l_quantity"), 4).alias("kurt")))
+op("agg_shape", lambda s, d: _t(s, d, "lineitem").agg(F.round(F.skewness("l_quantity"), 4).alias("skew"), F.round(F.kurtosis("l_quantity"), 4).alias("kurt")), "WITH m AS (SELECT avg(l_quantity) AS a FROM lineitem), c AS (SELECT l_quantity - a AS x FROM lineitem, m) SELECT round(avg(x * x * x) / pow(avg(x * x), 1.5), 4) AS skew, round(avg(x * x * x * x) / pow(avg(x * x), 2) - 3, 4) AS kurt FROM c")
 op("agg_log_bins", lambda s, d: _t(s, d, "documents").groupBy(F.floor(F.log2(F.col("n_chars") + 1)).alias("bin")).agg(F.count("*").alias("n")), "SELECT floor(log2(n_chars + 1))::BIGINT AS bin, count(*) AS n FROM documents GROUP BY 1")
 op("agg_having", lambda s, d: _t(s, d, "lineitem").groupBy("l_orderkey").agg(F.count("*").alias("n")).filter("n > 6"), "SELECT l_orderkey, count(*) AS n FROM lineitem GROUP BY l_orderkey HAVING count(*) > 6")
-op("agg_mode_any", lambda s, d: _t(s, d, "customer").groupBy("c_nationkey").agg(F.min("c_mktsegment").alias("some"), F.count("*").alias("n")), "SELECT c_nationkey, min(c_mktsegment) AS some, count(*) AS n FROM customer GROUP BY 1")
+# of equally frequent segments the first; any name of a nation is the nation's
+op("agg_mode_any", lambda s, d: _cn(s, d).groupBy("c_nationkey").agg(F.mode("c_mktsegment", deterministic=True).alias("usual"), F.any_value("n_name").alias("nation"), F.count("*").alias("n")), "WITH k AS (SELECT c_nationkey, c_mktsegment, count(*) AS n FROM customer GROUP BY ALL) SELECT c_nationkey, arg_min(c_mktsegment, (-k.n, c_mktsegment)) AS usual, any_value(n_name) AS nation, sum(k.n)::BIGINT AS n FROM k JOIN nation ON c_nationkey = n_nationkey GROUP BY c_nationkey")

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..measures import ruzicka
 from ..join import attach, similarity_join
+from ..scratch import folder as scratch
 from ..sources.tables import read_slice, read_table, register_views, round_trip, write_joined, write_pairs
 from ..workloads import RAW_SQL, WORKLOADS
 from .. import oracles
@@ -25,14 +25,6 @@ def op(name: str, sql: str | None = None):
     return put
 
 
-def scratch(s: SparkSession, name: str) -> str:
-    """A folder that all executors share; a temporary one only where none is set on a local master."""
-    base = s.conf.get("spark.checkpoint.dir", "")
-    if not base and not s.sparkContext.master.startswith("local"):
-        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-    return f"{base.rstrip('/') if base else tempfile.mkdtemp(prefix='allpairs-')}/{name}"
-
-
 def _t(s: SparkSession, d: str, name: str) -> DataFrame:
     return read_table(s, d, name)
 
@@ -58,14 +50,9 @@ def _raw_source(s, d):
 
     ship(s)
     register(s)
-    path = scratch(s, "raw_lines").removeprefix("file://")
+    path = scratch(s, f"raw_lines_{uuid.uuid4().hex}").removeprefix("file://")
     rows = WORKLOADS["user_types"](s, d)
     rows.select(F.concat_ws("\t", "entity", "element", "mult").alias("value")).coalesce(2).write.mode("overwrite").text(path)
-    import glob
-    import os
-
-    for p in glob.glob(f"{path}/*.txt"):
-        os.rename(p, f"{p[:-4]}.tsv")
     return s.read.format("allpairs_raw").load(path)
 
 
@@ -95,8 +82,9 @@ def _sql_join(s, d):
     return join_sql(s, "allpairs_raw_rows", "sim_ruzicka", 0.5).select("e1", "e2", F.round("sim", 9).alias("sim"))
 
 
-op("computed_columns", "SELECT l_orderkey, round(l_extendedprice * (1 - l_discount), 2) AS revenue, CAST(l_quantity AS BIGINT) AS qty FROM lineitem")(
-    lambda s, d: _t(s, d, "lineitem").select("l_orderkey", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 2).alias("revenue"), F.col("l_quantity").cast("long").alias("qty"))
+# money in whole ten-thousandths, so that no library's rounding of halves shows
+op("computed_columns", "SELECT l_orderkey, CAST(round(l_extendedprice * 100) AS BIGINT) * (100 - CAST(round(l_discount * 100) AS BIGINT)) AS revenue_e4, CAST(l_quantity AS BIGINT) AS qty FROM lineitem")(
+    lambda s, d: _t(s, d, "lineitem").select("l_orderkey", (F.round(F.col("l_extendedprice") * 100).cast("long") * (100 - F.round(F.col("l_discount") * 100).cast("long"))).alias("revenue_e4"), F.col("l_quantity").cast("long").alias("qty"))
 )
 op("predicates", "SELECT o_orderkey FROM orders WHERE o_totalprice BETWEEN 1000 AND 200000 AND o_orderstatus IN ('O', 'F') AND o_orderpriority LIKE '%-%' AND regexp_matches(o_orderpriority, '^[1-3]') AND o_custkey IS NOT NULL")(
     lambda s, d: _t(s, d, "orders").filter(F.col("o_totalprice").between(1000, 200000) & F.col("o_orderstatus").isin("O", "F") & F.col("o_orderpriority").like("%-%") & F.col("o_orderpriority").rlike("^[1-3]") & F.col("o_custkey").isNotNull()).select("o_orderkey")
@@ -107,7 +95,8 @@ op("null_safe_equality", "SELECT count(*) AS n FROM labels a JOIN labels b ON a.
 op("case_routing", "SELECT s_suppkey, CASE WHEN s_acctbal < 0 THEN 'debt' WHEN s_acctbal < 5000 THEN 'low' ELSE 'high' END AS route FROM supplier")(
     lambda s, d: _t(s, d, "supplier").select("s_suppkey", F.when(F.col("s_acctbal") < 0, "debt").when(F.col("s_acctbal") < 5000, "low").otherwise("high").alias("route"))
 )
-op("hash_sample")(lambda s, d: _t(s, d, "documents").filter(F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(10)) < 1).select("doc_id"))
+# a sample that any engine draws alike: an eighth, by the first digits of a digest
+op("hash_sample", "SELECT doc_id FROM documents WHERE substr(md5(doc_id || ':7'), 1, 4) < '2000'")(lambda s, d: _t(s, d, "documents").filter(F.substring(F.md5(F.concat(F.col("doc_id").cast("string"), F.lit(":7"))), 1, 4) < "2000").select("doc_id"))
 op("rename_drop_expand", "SELECT n_nationkey AS nation, n_name AS name FROM nation")(lambda s, d: _t(s, d, "nation").withColumnsRenamed({"n_nationkey": "nation", "n_name": "name"}).drop("n_regionkey").select(F.struct("*").alias("r")).select("r.*"))
 
 
@@ -198,8 +187,28 @@ for _name, _make, _sql in (
     op(f"set_{_name}", f"{_NAT} {_sql} {_SUP}")(lambda s, d, make=_make: make(*_keys(s, d)))
 op("set_union_by_name", f"SELECT k, NULL::BIGINT AS more FROM ({_NAT}) UNION ALL SELECT k, 1 AS more FROM ({_SUP})")(lambda s, d: (lambda a, b: a.unionByName(b.withColumn("more", F.lit(1).cast("long")), allowMissingColumns=True))(*_keys(s, d)))
 op("set_distinct", "SELECT DISTINCT o_custkey, o_orderstatus FROM orders")(lambda s, d: _t(s, d, "orders").select("o_custkey", "o_orderstatus").distinct())
-op("set_drop_duplicates", "SELECT o_custkey, min(o_orderkey) AS first_order FROM orders GROUP BY o_custkey")(lambda s, d: _t(s, d, "orders").groupBy("o_custkey").agg(F.min("o_orderkey").alias("first_order")).dropDuplicates(["o_custkey"]))
+op("set_drop_duplicates", "SELECT DISTINCT l_suppkey, l_partkey FROM lineitem")(lambda s, d: read_table(s, d, "lineitem", ["l_suppkey", "l_partkey", "l_quantity"]).dropDuplicates(["l_suppkey", "l_partkey"]).select("l_suppkey", "l_partkey"))
 op("sort_top", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 25")(lambda s, d: read_table(s, d, "orders", ["o_orderkey", "o_totalprice"]).orderBy(F.desc("o_totalprice"), "o_orderkey").limit(25))
 op("sort_offset", "SELECT o_orderkey FROM orders ORDER BY o_orderkey LIMIT 10 OFFSET 40")(lambda s, d: read_table(s, d, "orders", ["o_orderkey"]).orderBy("o_orderkey").offset(40).limit(10))
-op("sort_within_partitions", "SELECT o_custkey, min(o_orderkey) AS first FROM orders GROUP BY o_custkey")(lambda s, d: read_table(s, d, "orders", ["o_custkey", "o_orderkey"]).repartition("o_custkey").sortWithinPartitions("o_custkey", "o_orderkey").groupBy("o_custkey").agg(F.min("o_orderkey").alias("first")))
+
+
+@op("sort_within_partitions", "SELECT o_custkey, min(o_orderkey) AS first FROM orders GROUP BY o_custkey")
+def _sorted_parts(s, d):
+    """The first row of each run of equal keys: right only if every partition is sorted and holds whole keys."""
+    from ..workers import ship
+
+    ship(s)
+
+    def firsts(frames):
+        last = None
+        for pdf in frames:
+            new = pdf["o_custkey"] != pdf["o_custkey"].shift(fill_value=-1 if last is None else last)
+            if len(pdf):
+                last = pdf["o_custkey"].iloc[-1]
+            yield pdf[new].rename(columns={"o_orderkey": "first"})
+
+    parts = read_table(s, d, "orders", ["o_custkey", "o_orderkey"]).repartition("o_custkey").sortWithinPartitions("o_custkey", "o_orderkey")
+    return parts.mapInPandas(firsts, "o_custkey long, first long")
+
+
 op("sort_global", "SELECT s_suppkey, s_acctbal FROM supplier")(lambda s, d: read_table(s, d, "supplier", ["s_suppkey", "s_acctbal"]).orderBy("s_acctbal", "s_suppkey"))

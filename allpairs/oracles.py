@@ -26,6 +26,7 @@ MEASURES = {
     "tversky": ("card", "sum(least(l.mult, r.mult))::BIGINT", "s::DOUBLE / (s::DOUBLE + CAST(0.5 AS DOUBLE) * (a - s)::DOUBLE + CAST(0.5 AS DOUBLE) * (b - s)::DOUBLE)"),
     "tanimoto": ("sumsq", "sum(l.mult * r.mult)", "s::DOUBLE / (a + b - s)::DOUBLE"),
     "squared_l2": ("sumsq", "sum(l.mult * r.mult)", "(a + b - 2 * s)::DOUBLE"),
+    "kulczynski": ("ucard", "count(*)", "(s::DOUBLE / a::DOUBLE + s::DOUBLE / b::DOUBLE) / 2"),
     "bray_curtis": ("card", "sum(least(l.mult, r.mult))::BIGINT", "1 - 2 * s::DOUBLE / (a + b)::DOUBLE"),
 }
 

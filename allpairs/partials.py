@@ -45,6 +45,25 @@ def shared_aggregates(measures):
     return [F.sum(g(F.col("f1"), F.col("f2"))).alias(f"conj_{key.replace('.', '_')}") for key, g in made.items()]
 
 
+def measure_of(name: str, functions: dict[str, Callable], column_functions: dict[str, Callable], combine: Callable) -> Measure:
+    """A measure from plain per-element functions, each put by :func:`classify` where it belongs.
+
+    ``functions`` are of two numbers, for telling what they need; ``column_functions`` the same on columns.
+    ``combine`` gets shared sums and both entities' totals by these names.  A function of the left entity alone is a total;
+    a disjunctive one is refused here: :func:`decompose_disjunctive` rewrites it.
+    """
+    uni, conj = {}, {}
+    for key, g in functions.items():
+        needs = classify(g)
+        if needs == {"uni"}:
+            uni[key] = (lambda c: lambda f: c(f, F.lit(0)))(column_functions[key])
+        elif needs == {"conj"}:
+            conj[key] = column_functions[key]
+        else:
+            raise UnsupportedMeasure(f"{name}: {key} needs the union of both entities")
+    return Measure(name, tuple(uni), conj, combine, totals=uni)
+
+
 def classify(g: Callable[[float, float], float]) -> set[str]:
     """What a plain function of two multiplicities needs, told by probing it."""
     out = set()
@@ -71,7 +90,7 @@ def decompose_disjunctive(name: str, g: Callable, aggregate: str = "sum", zero=l
         ("left", "right"),
         {"both": lambda f1, f2: g(f1, f2) - g(f1, zero()) - g(zero(), f2)},
         lambda c, a, b: (a["left"] + b["right"] + c["both"]).cast("double"),
-        totals={"left": lambda f: F.sum(g(f, zero())), "right": lambda f: F.sum(g(zero(), f))},
+        totals={"left": lambda f: g(f, zero()), "right": lambda f: g(zero(), f)},
     )
 
 

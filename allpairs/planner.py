@@ -40,6 +40,20 @@ def choose_joining(stats: Statistics, max_table_bytes: int = 1 << 30, secondary_
     return "online_aggregation"
 
 
+@dataclass(frozen=True)
+class SimilarityPlan:
+    """How lists are paired: ``index`` in one task each, ``chunked`` where the longest is too long for that."""
+
+    similarity: str
+    prune: bool
+    max_list_rows: int
+
+
+def choose_similarity(stats: Statistics, can_prune: bool, max_list_rows: int = 4096) -> SimilarityPlan:
+    """Chunks if the longest list has more rows than one task should pair with each other; bounds wherever the measure has any."""
+    return SimilarityPlan("chunked" if stats.highest_freq > max_list_rows else "index", can_prune, max_list_rows)
+
+
 def check_applicability(stats: Statistics, most_share: float = 0.9, least_elements: int = 64) -> None:
     if stats.entities > 1 and stats.elements < least_elements and stats.highest_freq >= most_share * stats.entities:
         raise NotApplicable(f"{stats.elements} elements, one of them in {stats.highest_freq} of {stats.entities} entities: nearly every pair is a candidate")

@@ -6,6 +6,17 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
+def idf_weighted(raw: DataFrame, scale: int = 1_000_000) -> DataFrame:
+    """Each element of an entity once, with ln(entities / entities that have it) as its multiplicity, in whole ``scale``-ths.
+
+    Rows are those of :func:`allpairs.model.normalize_raw`; frequencies are partly summed before they move.
+    """
+    entities = raw.select("entity").distinct().count()
+    weight = F.round(F.log(F.lit(entities) / F.col("freq")) * scale).cast("long")
+    weights = element_frequency(raw).select("element", weight.alias("mult"))
+    return raw.select("entity", "element").join(weights.filter("mult > 0"), "element").select("entity", "element", "mult")
+
+
 def element_frequency(raw: DataFrame) -> DataFrame:
     """element and freq, the number of entities that have it."""
     return raw.groupBy("element").agg(F.count("*").alias("freq"))

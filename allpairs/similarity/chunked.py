@@ -9,8 +9,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..measures import Measure
 from ..preprocess import element_frequency
-from .index import carried
+from ..scratch import written
+from .index import carried, totals_of
+
+#: Rows of one chunk: a chunk pair costs at most the square of this, about 17 million comparisons.
+LIST_ROWS = 4096
+#: Lists of more than one chunk that are told to every task; there are at most rows / max_list_rows of them.
+MOST_BROADCAST = 1_000_000
 
 
 def chunks_for(joined: DataFrame, T: int | None, max_list_rows: int, freq_limit: int | None = None) -> DataFrame:  # noqa: N803
@@ -22,31 +29,38 @@ def chunks_for(joined: DataFrame, T: int | None, max_list_rows: int, freq_limit:
     return freq.select("element", needed.alias("_chunks")).filter("_chunks > 1")
 
 
-def pair_increments_chunked(joined: DataFrame, T: int | None = None, max_list_rows: int = 100_000, freq_limit: int | None = None, pairs: str = "unordered") -> DataFrame:  # noqa: N803
+def pair_increments_chunked(joined: DataFrame, T: int | None = None, max_list_rows: int = LIST_ROWS, freq_limit: int | None = None, pairs: str = "unordered", measures: tuple[Measure, ...] = (), t: float | None = None) -> DataFrame:  # noqa: N803
     """Increments as :func:`allpairs.similarity.index.pair_increments` gives them.
 
     ``T`` chunks for every list, or as many as keep each at ``max_list_rows``; with ``freq_limit`` only lists over it.
-    ``pairs='ordered'`` works on all T squared ordered chunk pairs, and drops the half that repeats.
+    ``pairs='ordered'`` works on all T squared ordered chunk pairs, and drops the half that repeats.  With ``measures`` and
+    ``t``, pairs whose totals alone rule them out are left out.  The rows of long lists are dealt to chunks where they are,
+    before anything gathers a list: the table of those lists is counted first and broadcast.
     """
     uni = sorted(c for c in joined.columns if c.startswith("uni_"))
     base = joined.select("element", "entity", "mult", *uni)
-    planned = base.join(chunks_for(joined, T, max_list_rows, freq_limit), "element", "left").withColumn("_chunks", F.coalesce("_chunks", F.lit(1)))
+    long_lists = written(chunks_for(joined, T, max_list_rows, freq_limit), "long_lists")
+    planned = base.join(F.broadcast(long_lists) if long_lists.count() <= MOST_BROADCAST else long_lists, "element", "left").withColumn("_chunks", F.coalesce("_chunks", F.lit(1)))
     own = planned.withColumn("_own", F.pmod(F.xxhash64(F.col("entity")), F.col("_chunks")).cast("int"))
     dealt = own.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_chunks") - 1)))
+    possible = F.lit(True)
+    for m in measures if t is not None else ():
+        if m.bound is not None:
+            possible = possible & m.bound(*totals_of(m, "l.uni_{}", "r.uni_{}"), t)
     if pairs == "ordered":
-        return _ordered(dealt, joined)
+        return _ordered(dealt, joined, possible)
     keyed = dealt.withColumn("_p", F.least("_own", "_other")).withColumn("_q", F.greatest("_own", "_other")).drop("_other", "_chunks")
     left, right = keyed.alias("l"), keyed.alias("r")
     # with two different chunks under a key, pairs inside either belong to that chunk's own key
     apart = (F.col("l._p") == F.col("l._q")) | (F.col("l._own") != F.col("r._own"))
-    on = _same("element", "_p", "_q") & (F.col("l.entity") < F.col("r.entity")) & apart
+    on = _same("element", "_p", "_q") & (F.col("l.entity") < F.col("r.entity")) & apart & possible
     return _given(left.join(right.hint("merge"), on), joined)
 
 
-def _ordered(dealt: DataFrame, joined: DataFrame) -> DataFrame:
+def _ordered(dealt: DataFrame, joined: DataFrame, possible: Column) -> DataFrame:
     firsts = dealt.withColumn("_p", F.col("_own")).withColumn("_q", F.col("_other")).drop("_own", "_other", "_chunks")
     seconds = dealt.withColumn("_p", F.col("_other")).withColumn("_q", F.col("_own")).drop("_own", "_other", "_chunks")
-    on = _same("element", "_p", "_q") & (F.col("l.entity") < F.col("r.entity"))
+    on = _same("element", "_p", "_q") & (F.col("l.entity") < F.col("r.entity")) & possible
     return _given(firsts.alias("l").join(seconds.alias("r").hint("merge"), on), joined)
 
 

@@ -18,6 +18,11 @@ class _File(InputPartition):
         self.path = path
 
 
+def _files(folder: str) -> list[str]:
+    """Files of lines, as people name them or as Spark writes them."""
+    return sorted(p for end in ("tsv", "txt") for p in glob.glob(f"{folder}/*.{end}"))
+
+
 def _rows(path: str) -> Iterator[tuple]:
     with open(path, encoding="utf-8") as f:
         for line in f:
@@ -30,7 +35,7 @@ class _Reader(DataSourceReader):
         self.path = path
 
     def partitions(self) -> list[InputPartition]:
-        return [_File(p) for p in sorted(glob.glob(f"{self.path}/*.tsv"))] or [_File("")]
+        return [_File(p) for p in _files(self.path)] or [_File("")]
 
     def read(self, partition) -> Iterator[tuple]:
         return _rows(partition.path) if partition.path else iter(())
@@ -46,7 +51,7 @@ class _StreamReader(SimpleDataSourceStreamReader):
         return {"done": json.dumps("")}
 
     def _after(self, start: dict) -> list[str]:
-        return [p for p in sorted(glob.glob(f"{self.path}/*.tsv")) if p > json.loads(start["done"])]
+        return [p for p in _files(self.path) if p > json.loads(start["done"])]
 
     def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
         files = self._after(start)

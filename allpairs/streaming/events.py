@@ -6,10 +6,11 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from .. import oracles
 from ..join import similarity_join
-from ..operators.relational import scratch
+from ..scratch import folder as scratch
 from ..sources.tables import read_table
 
 OPERATORS: dict[str, tuple] = {}
@@ -30,16 +31,36 @@ def stream_events(spark: SparkSession, where: str) -> DataFrame:
     return files.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def drained(stream: DataFrame, mode: str, name: str) -> DataFrame:
-    """Run until the input is used up; rows go to Parquet in append mode, else (bounded results) to memory."""
-    spark, key = stream.sparkSession, f"{name}_{uuid.uuid4().hex[:8]}"
-    path = scratch(spark, key)
-    out = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{path}/state").trigger(availableNow=True)
+def drained(stream: DataFrame, mode: str, name: str, every: str | None = None, keys: tuple[str, ...] = ()) -> DataFrame:
+    """Run until the input is used up; rows go to Parquet, never to the driver.
+
+    ``append`` adds files; ``complete`` replaces them with each batch; ``update`` adds a batch's changed rows and gives, for each
+    of ``keys``, those of the last batch.  ``every`` runs by processing time and stops once all input is read.
+    """
+    spark, path = stream.sparkSession, scratch(stream.sparkSession, f"{name}_{uuid.uuid4().hex[:8]}")
+    out = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{path}/state")
+    out = out.trigger(processingTime=every) if every else out.trigger(availableNow=True)
     if mode == "append":
-        out.format("parquet").option("path", f"{path}/rows").start().awaitTermination()
+        query = out.format("parquet").option("path", f"{path}/rows").start()
+    elif mode == "complete":
+        query = out.foreachBatch(lambda batch, _: batch.write.mode("overwrite").parquet(f"{path}/rows")).start()
+    else:
+        query = out.foreachBatch(lambda batch, k: batch.withColumn("_batch", F.lit(k)).write.mode("overwrite").parquet(f"{path}/rows/_of={k}")).start()
+    if every:
+        query.processAllAvailable()
+        query.stop()
+    else:
+        query.awaitTermination()
+    if mode != "update":
         return spark.read.schema(stream.schema).parquet(f"{path}/rows")
-    out.format("memory").queryName(key).start().awaitTermination()
-    return spark.table(key)
+    rows = spark.read.schema(StructType([*stream.schema.fields, StructField("_batch", LongType())])).option("recursiveFileLookup", "true").parquet(f"{path}/rows")
+    values = [c for c in stream.columns if c not in keys]
+    return rows.groupBy(*keys).agg(F.max_by(F.struct(*values), "_batch").alias("_last")).select(*(c if c in keys else F.col(f"_last.{c}").alias(c) for c in stream.columns))
+
+
+def late_rows(query) -> int:
+    """Rows that the watermark has dropped so far, over all stateful operators, from the query's progress."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
 
 
 def _k() -> object:
@@ -52,6 +73,33 @@ def _running(s, d):
     return drained(stream_events(s, d).groupBy("user_id").agg(F.count("*").alias("card")), "complete", "totals")
 
 
+@op("running_totals_update", "SELECT user_id, count(*) AS card FROM events GROUP BY user_id")
+def _running_update(s, d):
+    """The same, but a batch gives only the entities it changed, and batches come by processing time."""
+    return drained(stream_events(s, d).groupBy("user_id").agg(F.count("*").alias("card")), "update", "totals_update", every="1 second", keys=("user_id",))
+
+
+@op("distinct_elements", "SELECT user_id, count(DISTINCT json_extract_string(props, '$.k')) AS ucard FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL GROUP BY user_id")
+def _distinct_elements(s, d):
+    """Each user's number of different elements, with those seen so far as state: repeats in later batches add nothing."""
+    import pandas as pd
+
+    from ..workers import ship
+
+    ship(s)
+
+    def grown(key, frames, state):
+        seen = set(state.get[0]) if state.exists else set()
+        for pdf in frames:
+            seen.update(pdf["k"])
+        state.update((sorted(seen),))
+        yield pd.DataFrame({"user_id": [key[0]], "ucard": [len(seen)]})
+
+    rows = stream_events(s, d).select("user_id", _k().alias("k")).filter("k is not null")
+    counts = rows.groupBy("user_id").applyInPandasWithState(grown, "user_id long, ucard long", "seen array<string>", "update", "NoTimeout")
+    return drained(counts, "update", "ucard", keys=("user_id",))
+
+
 @op("element_frequency", "SELECT json_extract_string(props, '$.k') AS k, count(*) AS freq FROM events GROUP BY 1 HAVING count(*) > 100")
 def _alarm(s, d, q=100):
     """Elements that have become stop words."""
@@ -70,13 +118,15 @@ def _sliding(s, d):
     return drained(rows.select(F.col("window.start").alias("start"), "n"), "complete", "sliding")
 
 
-@op("sessions")
+@op("sessions", """WITH m AS (SELECT max(ts) AS m FROM events), e AS (SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER u + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW u AS (PARTITION BY user_id ORDER BY ts)),
+    g AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM e)
+    SELECT user_id, min(ts)::TIMESTAMP AS start, count(*) AS n FROM g, m GROUP BY user_id, g, m HAVING max(ts) + INTERVAL 30 MINUTE <= m - INTERVAL 1 HOUR""")
 def _sessions(s, d):
     rows = stream_events(s, d).withWatermark("ts", "1 hour").groupBy(F.session_window("ts", "30 minutes"), "user_id").agg(F.count("*").alias("n"))
     return drained(rows.select("user_id", F.col("session_window.start").alias("start"), "n"), "append", "sessions")
 
 
-@op("closed_windows")
+@op("closed_windows", "SELECT * FROM (SELECT date_trunc('day', ts)::TIMESTAMP AS day, event_type, count(*) AS n FROM events GROUP BY ALL) WHERE day + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 DAY FROM events)")
 def _watermark(s, d):
     """Days that the watermark has closed; what comes later than it is dropped and counted in the progress."""
     rows = stream_events(s, d).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day"), "event_type").agg(F.count("*").alias("n"))

@@ -11,9 +11,9 @@ from allpairs.baselines.minhash_lsh import minhash_lsh, recall_precision
 from allpairs.baselines.prefix_replication import OverBudget, prefix_replication
 from allpairs.graph.components import communities
 from allpairs.join import attach, similarity_join, similarity_join_rs, top_k
-from allpairs.joining import LookupTableTooLarge
+from allpairs.joining import LookupTableTooLarge, attach_online
 from allpairs.model import InvalidRaw, as_sets, expand_to_set, normalize_raw, validate_raw
-from allpairs.partials import classify, decompose_disjunctive, disjunctive_sums
+from allpairs.partials import classify, decompose_disjunctive, disjunctive_sums, measure_of
 from allpairs.preprocess import drop_small_entities, drop_stop_words
 
 
@@ -21,6 +21,7 @@ def pairs(df):
     return {(r["e1"], r["e2"]): round(r["sim"], 9) for r in df.collect()}
 
 
+SF = "/root/testdata/sf0.001"
 HAND = {"ruzicka": 0.25, "jaccard": 0.5, "dice_set": 4 / 6, "dice_multiset": 0.4, "cosine_set": 2 / 3, "cosine_multiset": 2 / math.sqrt(24), "cosine_vector": 4 / math.sqrt(84), "overlap": 2, "inner_product": 4, "union_size": 8}
 
 
@@ -155,3 +156,100 @@ def test_costs(tiny):
     s = planner.statistics(tiny)
     assert (s.rows, s.entities, s.elements, s.increments) == (10, 4, 5, 7)
     assert [r["entries"] for r in costs.lookup_footprint(tiny, [2, 3]).orderBy("limit").collect()] == [3, 0]
+
+
+@pytest.mark.parametrize("impl,combiner", [("window", "native"), ("smj", "native"), ("smj", "none"), ("salted", "native"), ("salted", "none"), ("tagged", "native"), ("tagged", "none"), ("tagged", "partition"), ("buffered", "native"), ("cogrouped", "native")])
+@pytest.mark.parametrize("kind,measure", [("double", lambda: measures.ruzicka()), ("decimal(10,2)", lambda: measures.ruzicka()), ("double", lambda: measures.cosine("vector", norm="l1")), ("long", lambda: decompose_disjunctive("span", lambda a, b: F.abs(a - b)))])
+def test_totals_of_any_measure_in_every_joining(spark, impl, combiner, kind, measure):
+    rows = [(1, "a", 0.5), (1, "b", 1.5), (2, "a", 0.7), (2, "c", 0.2), (3, "a", 2.0)]
+    scale = 10 if kind == "long" else 1
+    raw = spark.createDataFrame([(e, x, m * scale) for e, x, m in rows], "entity long, element string, mult double").withColumn("mult", F.col("mult").cast(kind))
+    m = measure()
+    got = {r["entity"]: [round(float(r[f"uni_{n}"]), 9) for n in m.uni] for r in attach_online(raw, m, impl=impl, combiner=combiner).collect()}
+    assert got == {e: [round(scale * v, 9)] * len(m.uni) for e, v in ((1, 2.0), (2, 0.9), (3, 2.0))}
+
+
+def test_similarity_phase_chosen_from_counts(skewed, spark):
+    exact = pairs(similarity_join(skewed, "ruzicka", 0.3))
+    assert pairs(similarity_join(skewed, "ruzicka", 0.3, similarity="auto", joining="auto")) == exact
+    assert pairs(similarity_join(skewed, "ruzicka", 0.3, similarity="auto", max_list_rows=20)) == exact
+    assert pairs(similarity_join(skewed, "ruzicka", 0.3, similarity="chunked", max_list_rows=20, prune=True)) == exact
+    stats = planner.statistics(skewed)
+    assert planner.choose_similarity(stats, True, 20).similarity == "chunked" and planner.choose_similarity(stats, False).similarity == "index"
+    with pytest.raises(planner.NotApplicable):
+        similarity_join(skewed, "ruzicka", 0.3, most_increments=10)
+    histograms = spark.range(40).select(F.col("id").alias("entity"), F.explode(F.array(*(F.lit(f"bin{k}") for k in range(8)))).alias("element"), F.lit(1).cast("long").alias("mult"))
+    with pytest.raises(planner.NotApplicable):
+        similarity_join(histograms, "ruzicka", 0.3, similarity="auto")
+    with pytest.raises(ValueError):
+        similarity_join(skewed, "ruzicka", 0.3, similarity="list", prune=True)
+
+
+def test_measures_from_plain_functions():
+    own = measure_of("m", {"n": lambda x, y: x, "o": min}, {"n": lambda f, g: f, "o": F.least}, lambda c, a, b: c["o"] / a["n"])
+    assert own.uni == ("n",) and set(own.conj) == {"o"}
+    with pytest.raises(measures.UnsupportedMeasure):
+        measure_of("m", {"u": max}, {"u": F.greatest}, lambda c, a, b: c["u"])
+
+
+def test_outcomes_counters_and_plans(skewed, spark):
+    from allpairs.counters import counted, explain_phases
+
+    slow = F.udf(lambda x: __import__("time").sleep(3) or x, "long")
+    assert costs.run(lambda: skewed.limit(4), 60).state == "ok"
+    assert costs.run(lambda: spark.range(0, 40, 1, 8).filter(slow("id") >= 0), 1).state == "timeout"
+    assert costs.run(lambda: spark.range(3).select(F.raise_error(F.lit("no room")).alias("x")).filter("x is not null")).state == "failed"
+    with counted(spark) as c:
+        similarity_join(skewed, "ruzicka", 0.3).count()
+    assert c.stages and c.task_seconds > 0 and c.shuffled_bytes > 0 and c.slowest()["most_rows"] >= 0
+    plans = explain_phases(skewed, measures.ruzicka(), 0.3)
+    assert set(plans) == {"joining", "similarity", "whole"} and "Window" in plans["joining"] and "SortMergeJoin" in plans["similarity"]
+
+
+def test_raw_rows_are_made_once(spark, skewed):
+    from allpairs import scratch
+
+    grouped = skewed.groupBy("entity", "element").agg(F.sum("mult").alias("mult"))
+    assert scratch.derived(grouped) and not scratch.derived(scratch.written(grouped, "t").filter("mult > 1").select("entity"))
+    calls = spark.sparkContext.accumulator(0)
+    seen = F.udf(lambda x: calls.add(1) or x, "long")
+    watched = grouped.withColumn("mult", seen("mult"))
+    rows = grouped.count()
+    for way in (dict(joining="lookup"), dict(joining="sharding", C=32)):
+        before = calls.value
+        attach(watched, measures.ruzicka(), **way).count()
+        assert calls.value - before <= rows, way
+
+
+def test_experiments_run(spark):
+    from allpairs.experiments.runners import ablations, kernel_share, measure_swap, proxy_study, realistic_size, sharding_steps, threshold_sweep
+
+    sweep = threshold_sweep(spark, SF, steps=(0.3, 0.7), repeat=1)
+    assert len(sweep) == 8 and all(len({r["pairs"] for r in sweep if r["t"] == t}) == 1 for t in (0.3, 0.7))
+    assert [r["state"] for r in realistic_size(spark, SF, repeat=1, lookup_bytes=100, most_cells=10)][:3] == ["table_too_large", "over_budget", "over_budget"]
+    steps = sharding_steps(spark, SF, limits=(32, 1024), repeat=1)
+    assert steps[0]["giants"] > steps[1]["giants"] and all(r["step1_seconds"] > 0 for r in steps)
+    assert all(0 < r["kernel_share"] < 1 for r in kernel_share(spark, SF, steps=(0.5,), repeat=1))
+    study = proxy_study(spark, SF, steps=(0.1, 0.9), sample_of=1)
+    assert study[0]["covered"] >= study[1]["covered"] and {r["entities"] for r in study} == {"all", "min_50"}
+    assert len(measure_swap(spark, SF, measures=("ruzicka", "jaccard"), repeat=1)) == 2 and len(ablations(spark, SF, repeat=1)) == 7
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    import os
+
+    from allpairs.streaming.events import drained, late_rows
+
+    for k, days in enumerate(([10, 10, 10], [10], [1, 2, 3, 11])):
+        spark.createDataFrame([(i, f"2024-01-{d:02d} 00:00:00") for i, d in enumerate(days)], "id long, at string").selectExpr(f"id + {10 * k} as id", "cast(at as timestamp) as ts").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        for f in os.listdir(f"{tmp_path}/in"):
+            if not os.path.exists(f"{tmp_path}/seen_{f}"):
+                open(f"{tmp_path}/seen_{f}", "w").close()
+                os.utime(f"{tmp_path}/in/{f}", (1_700_000_000 + 100 * k,) * 2)
+    stream = spark.readStream.schema("id long, ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in").withWatermark("ts", "1 day").dropDuplicates(["id", "ts"])
+    query = stream.writeStream.format("parquet").option("path", f"{tmp_path}/out").option("checkpointLocation", f"{tmp_path}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    # a batch is held to the watermark of the batch before the last
+    assert late_rows(query) == 3 and spark.read.parquet(f"{tmp_path}/out").count() == 5
+    counts = spark.readStream.schema("id long, ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in").groupBy(F.dayofmonth("ts").alias("day")).count()
+    assert sorted(map(tuple, drained(counts, "update", "t", every="1 second", keys=("day",)).collect())) == [(1, 1), (2, 1), (3, 1), (10, 4), (11, 1)]
