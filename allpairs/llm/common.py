@@ -122,9 +122,13 @@ def unused(df: DataFrame, *names: str) -> list[str]:
     return out
 
 
+def quoted(name: str):
+    """A column by name, whatever characters the name has."""
+    return F.col(f"`{name.replace('`', '``')}`")
+
+
 def columns_of(df: DataFrame) -> list:
-    """All columns by name, whatever characters a name has."""
-    return [F.col(f"`{c.replace('`', '``')}`") for c in df.columns]
+    return [quoted(c) for c in df.columns]
 
 
 def spread_join(big: DataFrame, small: DataFrame, keys: list[str], size: str, how: str = "inner", parts: int = 4096) -> DataFrame:
@@ -148,15 +152,16 @@ def with_columns_of_text(df: DataFrame, text_col: str, fields: str, make) -> Dat
     Null texts reach it as None.  ``make`` runs once a task, on the worker.  An input column that has the name of a
     new one is replaced; ``unused`` finds names that aren't taken.
     """
-    from pyspark.sql.types import StructType
+    from pyspark.sql.types import StructField, StructType
 
     ship(df.sparkSession)
     new = StructType.fromDDL(fields)
-    taken = {c.lower() for c in df.columns} & {f.name.lower() for f in new}
-    if taken:
-        df = df.drop(*[c for c in df.columns if c.lower() in taken])
-    at = df.columns.index(text_col)
-    schema = StructType([*df.schema.fields, *new.fields])
+    taken = {f.name.lower() for f in new}
+    df = df.select(*(quoted(c) for c in df.columns if c.lower() not in taken))
+    at, names = df.columns.index(text_col), [*df.columns, *(f.name for f in new)]
+    # the stage knows columns by number, as a name with a dot can't be given to it
+    numbered = [f"c{k}" for k in range(len(names))]
+    fields_ = [StructField(n, f.dataType, f.nullable) for n, f in zip(numbered, [*df.schema.fields, *new.fields], strict=True)]
 
     def run(batches):
         import pyarrow as pa
@@ -164,6 +169,6 @@ def with_columns_of_text(df: DataFrame, text_col: str, fields: str, make) -> Dat
         columns_of = make()
         for batch in size_bounded_batches(batches, at, 1 << 20):
             arrays = columns_of(batch.column(at).to_pylist())
-            yield pa.RecordBatch.from_arrays([*batch.columns, *arrays], [f.name for f in schema])
+            yield pa.RecordBatch.from_arrays([*batch.columns, *arrays], numbered)
 
-    return df.mapInArrow(run, schema)
+    return df.toDF(*numbered[: len(df.columns)]).mapInArrow(run, StructType(fields_)).toDF(*names)

@@ -27,6 +27,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import quoted
+
 # What each kind looks like.  Possessive repetition keeps Java's matcher linear and
 # free of recursion; the matches are those of the plain patterns.
 BASE = {
@@ -304,10 +306,11 @@ def find(docs: DataFrame, text_col: str = "text", carry: tuple[str, ...] = ("doc
 
     The texts are searched twice, once to learn and once for the result, so nothing of them is written.
     """
-    proposed = propose(docs.select(*dict.fromkeys([*carry, text_col])), text_col, into)
+    kept = [quoted(c) for c in carry]
+    proposed = propose(docs.select(*kept, *([] if text_col in carry else [quoted(text_col)])), text_col, into)
     model = fit(proposed, into)
     scored = F.transform(into, lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), s["end"].alias("end"), model.score(s).alias("score"), s["kind"].isin(*BASE).alias("base")))
-    return proposed.withColumn(into, F.filter(scored, lambda s: s["base"] | (s["score"] >= threshold))).select(*carry, into), model
+    return proposed.withColumn(into, F.filter(scored, lambda s: s["base"] | (s["score"] >= threshold))).select(*kept, into), model
 
 
 def described(spans: Column) -> Column:
