@@ -48,8 +48,8 @@ ENTRY_COST = 8
 #: Subsets are never cheaper for sets larger than this.
 MOST_LIGHT = 40
 BITMAP_WORDS = 8
-#: Sets of a component are compared in blocks of about this many, a block with a block in one task.
-BLOCK = 128
+#: Sets of a component are compared in blocks of about this many, a block with a block in one task; each set moves once a block.
+BLOCK = 1024
 #: And of about this many shingles, if the sets are large.
 BLOCK_SHINGLES = 1 << 20
 #: Rows of a list that are paired with each other in one task; longer lists are dealt in blocks.
