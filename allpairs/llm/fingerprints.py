@@ -47,7 +47,7 @@ def _cuts(rows: int) -> list[float]:
 
 def _place_among(id_: Column, bounds: Column) -> Column:
     """How many of the ascending bounds are at or below the id; a null id is below all."""
-    return F.coalesce(F.size(F.filter(bounds, lambda x: x <= id_)), F.lit(0)).cast("long")
+    return F.greatest(F.coalesce(F.size(F.filter(bounds, lambda x: x <= id_)), F.lit(0)), F.lit(0)).cast("long")
 
 
 def _among(id_: Column, bounds: list[int]) -> Column:
