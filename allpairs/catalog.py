@@ -151,6 +151,8 @@ def _variants() -> None:
     for carry in ("first", "rejoin"):
         add(f"pairs_carry_{carry}", _pairs("doc_shingles", "ruzicka", 0.5, carry=carry), sql)
     add("pairs_pruned_doc_shingles", _pairs("doc_shingles", "ruzicka", 0.5, prune=True), sql)
+    add("pairs_banded_doc_shingles", _pairs("doc_shingles", "ruzicka", 0.5, prune="bands"), sql)
+    add("pairs_banded_order_parts", _pairs("order_parts", "jaccard", 0.5, prune="bands"), oracles.pairs("order_parts", "jaccard", 0.5))
     add("pairs_pruned_page_words", _pairs("page_words", "cosine_multiset", 0.8, prune=True), oracles.pairs("page_words", "cosine_multiset", 0.8))
     add("pairs_relabelled_alphabet", lambda s, d: _rounded(similarity_join(shuffle_alphabet(WORKLOADS["doc_shingles"](s, d), 7), "ruzicka", 0.5, unique=True)), sql)
     add("pairs_min50_doc_shingles", _pairs("doc_shingles", "ruzicka", 0.1, min_elements=50), oracles.pairs("doc_shingles", "ruzicka", 0.1, min_elements=50))

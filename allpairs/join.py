@@ -58,7 +58,7 @@ def similarity_join(
     chunk_pairs: str = "unordered",
     min_elements: int | None = None,
     inclusive: bool = True,
-    prune: bool = False,
+    prune: bool | str = False,
     carry: str = "key",
     hint: str | None = "merge",
     salt: int = 16,

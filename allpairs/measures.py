@@ -42,6 +42,8 @@ class Measure:
     #: For entities as sets of n elements: how many of the rarest must be looked at, and which sizes can pair.
     prefix_len: Callable[[int, float], float] | None = None
     len_range: Callable[[int, float], tuple[float, float]] | None = None
+    #: The least ratio of the first total of the smaller entity to that of the larger at which a pair can reach t.
+    least_ratio: Callable[[float], float] | None = None
     sets: bool = False
     distance: bool = False
     symmetric: bool = True
@@ -93,9 +95,9 @@ def _up(x):
 
 
 # prefix and size windows for entities as sets
-_JACCARD = {"prefix_len": lambda n, t: n - _up(n * t) + 1, "len_range": lambda n, t: (n * t, n / t)}
-_DICE = {"prefix_len": lambda n, t: n - _up(n * (t / (2 - t))) + 1, "len_range": lambda n, t: (n * (t / (2 - t)), n * ((2 - t) / t))}
-_COSINE = {"prefix_len": lambda n, t: n - _up(n * (t * t)) + 1, "len_range": lambda n, t: (n * (t * t), n / (t * t))}
+_JACCARD = {"prefix_len": lambda n, t: n - _up(n * t) + 1, "len_range": lambda n, t: (n * t, n / t), "least_ratio": lambda t: t}
+_DICE = {"prefix_len": lambda n, t: n - _up(n * (t / (2 - t))) + 1, "len_range": lambda n, t: (n * (t / (2 - t)), n * ((2 - t) / t)), "least_ratio": lambda t: t / (2 - t)}
+_COSINE = {"prefix_len": lambda n, t: n - _up(n * (t * t)) + 1, "len_range": lambda n, t: (n * (t * t), n / (t * t)), "least_ratio": lambda t: t * t}
 
 
 def jaccard() -> Measure:

@@ -51,6 +51,7 @@ def main() -> None:
     for joining in ("lookup", "sharding"):
         timed(f"shingles_{joining}_t5", joined("doc_shingles", 0.5, joining=joining))
     timed("shingles_pruned_t5", joined("doc_shingles", 0.5, prune=True))
+    timed("shingles_banded_t5", joined("doc_shingles", 0.5, prune="bands"))
     timed("shingles_auto_t5", joined("doc_shingles", 0.5, similarity="auto"))
     timed("orders_online_t5", joined("order_parts", 0.5))
     timed("props_online_t3", joined("user_props", 0.3))

@@ -174,6 +174,9 @@ def test_similarity_phase_chosen_from_counts(skewed, spark):
     assert pairs(similarity_join(skewed, "ruzicka", 0.3, similarity="auto", joining="auto")) == exact
     assert pairs(similarity_join(skewed, "ruzicka", 0.3, similarity="auto", max_list_rows=20)) == exact
     assert pairs(similarity_join(skewed, "ruzicka", 0.3, similarity="chunked", max_list_rows=20, prune=True)) == exact
+    for m in ("ruzicka", "jaccard", "dice_multiset", "cosine_set"):
+        for t in (0.3, 0.5, 1.0):
+            assert pairs(similarity_join(skewed, m, t, prune="bands")) == pairs(similarity_join(skewed, m, t)), (m, t)
     stats = planner.statistics(skewed)
     assert planner.choose_similarity(stats, True, 20).similarity == "chunked" and planner.choose_similarity(stats, False).similarity == "index"
     with pytest.raises(planner.NotApplicable):
