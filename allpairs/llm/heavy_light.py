@@ -374,12 +374,12 @@ def without_near_copies(docs: DataFrame, k: int = 5, similar: Similarity = Simil
     Of rows with one id and one text any one stays.  All columns of ``docs`` come back as they were.
     """
     narrow, sets = sets_and_components(docs, k, similar, id_col, text_col)
-    first = sets.groupBy("component").agg(F.min(_by_id("least_id")).alias("best")).select("best.row", F.lit(True).alias("worded"))
-    wordless = narrow.filter("n = 0").select("row", F.lit(False).alias("worded")).distinct()
-    row, worded, size = unused(docs, "row", "worded", "size")
-    stay = narrow.groupBy("row").agg(F.count("*").alias(size)).join(first.unionByName(wordless), "row")
-    stay = keep(stay.select(F.col("row").alias(row), F.col("worded").alias(worded), size), "rows_that_stay")
-    kept = spread_join(docs.withColumn(row, _row(id_col, F.coalesce(F.col(text_col), F.lit("")))), stay, [row], size)
+    first = sets.groupBy("component").agg(F.min(_by_id("least_id")).alias("best")).select("best.row")
+    row, size = unused(docs, "row", "size")
+    stay = keep(narrow.groupBy("row").agg(F.count("*").alias(size)).join(first, "row").withColumnRenamed("row", row), "rows_that_stay")
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    worded = F.rlike(text, F.lit(r"[^\x20\x09-\x0D]"))
+    kept = spread_join(docs.filter(worded).withColumn(row, _row(id_col, text)), stay, [row], size)
     # rows with one id and one text are one copy group; of each task's one goes on
-    single = kept.filter(F.col(worded)).groupBy(row).agg(F.first(F.struct(*columns_of(docs))).alias(worded)).select(f"{worded}.*")
-    return kept.filter(~F.col(worded)).select(*columns_of(docs)).unionByName(single)
+    single = kept.groupBy(row).agg(F.first(F.struct(*columns_of(docs))).alias(size)).select(f"{size}.*")
+    return docs.filter(~worded).unionByName(single)
