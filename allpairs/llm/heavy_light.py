@@ -48,9 +48,6 @@ ENTRY_COST = 8
 #: Subsets are never cheaper for sets larger than this.
 MOST_LIGHT = 40
 BITMAP_WORDS = 8
-#: Rows of one shingle that any task can count, and of how many sets one is looked at to tell which shingles have more.
-HOT_ROWS = 2048
-SAMPLED = 64
 #: Sets of a component are compared in blocks of about this many, a block with a block in one task; each set moves once a block.
 BLOCK = 1024
 #: And of about this many shingles, if the sets are large.
@@ -171,23 +168,8 @@ def _subset_keys(light: DataFrame, boundary: int, similar: Similarity) -> DataFr
 
 
 def _counted(elements: DataFrame, *within: str) -> DataFrame:
-    """Rows (e, set_id, ...) that share their shingle with another set, and in how many it is.
-
-    Rows move once, to where their shingle is counted.  Those of hot shingles stay where they are: counts of the rows of one set in
-    SAMPLED tell which these are (only that, every count itself is of all rows), and their counts, of fewer than 4,096 shingles,
-    are summed task by task and broadcast.
-    """
-    keys = [*within, "e"]
-    some = elements.filter(F.pmod(F.xxhash64("set_id"), F.lit(SAMPLED)) == 0).groupBy(*keys).agg(F.count("*").alias("f"))
-    some = keep(some.filter(F.col("f") * SAMPLED > HOT_ROWS), "sampled_counts")
-    total = some.agg(F.coalesce(F.sum("f"), F.lit(0)).alias("n")).first()["n"]
-    by_shingle = F.count("*").over(Window.partitionBy(*keys))
-    hot = some.filter(F.col("f") > total // 4096).select(*keys)
-    if hot.isEmpty():
-        return elements.withColumn("f", by_shingle).filter("f > 1")
-    counts = keep(elements.join(F.broadcast(hot), keys).groupBy(*keys).agg(F.count("*").alias("f")), "hot_shingles")
-    cold = elements.join(F.broadcast(hot), keys, "left_anti").withColumn("f", by_shingle)
-    return elements.join(F.broadcast(counts), keys).unionByName(cold).filter("f > 1")
+    """Rows (e, set_id, ...) that share their shingle with another set, and in how many it is; a hot shingle has a row a set, three numbers wide, and its window spills."""
+    return elements.withColumn("f", F.count("*").over(Window.partitionBy(*within, "e"))).filter("f > 1")
 
 
 def _entries(full: DataFrame, own: Column, name: str) -> DataFrame:

@@ -152,8 +152,6 @@ def test_slices_of_token_files_reach_over_images(spark, monkeypatch):
 @pytest.mark.parametrize("k,num,den", [(3, 9, 10), (5, 4, 5)])
 def test_jaccard_join_with_all_keys_hot(spark, monkeypatch, k, num, den):
     monkeypatch.setattr(common, "HOT_ROWS", 2)
-    monkeypatch.setattr(heavy_light, "HOT_ROWS", 2)
-    monkeypatch.setattr(heavy_light, "SAMPLED", 2)
     monkeypatch.setattr(heavy_light, "LIST_BLOCK", 3)
     if k == 5:  # components alone verify no pairs inside
         monkeypatch.setattr(heavy_light, "_links_inside", None)
