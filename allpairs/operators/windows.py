@@ -26,6 +26,11 @@ def _all():
     return _user().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
 
 
+def _seconds():
+    """Whole seconds, to the nearest and halves to the even one, as the statements' casts of fractions give them."""
+    return F.rint(F.unix_micros(F.col("ts").cast("timestamp")) / F.lit(1e6)).cast("long")
+
+
 _SQL = "(PARTITION BY user_id ORDER BY ts, event_id)"
 op("partition_sum", lambda s, d: _e(s, d).select("event_id", F.count("*").over(Window.partitionBy("user_id")).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id) AS n FROM events")
 op("ranks", lambda s, d: read_table(s, d, "lineitem", ["l_orderkey", "l_partkey", "l_quantity"]).select("l_orderkey", "l_partkey", F.rank().over(Window.partitionBy("l_orderkey").orderBy("l_quantity")).alias("r"), F.dense_rank().over(Window.partitionBy("l_orderkey").orderBy("l_quantity")).alias("dr")), "SELECT l_orderkey, l_partkey, (rank() OVER w)::INTEGER AS r, (dense_rank() OVER w)::INTEGER AS dr FROM lineitem WINDOW w AS (PARTITION BY l_orderkey ORDER BY l_quantity)")
@@ -33,13 +38,13 @@ op("shares", lambda s, d: _e(s, d).select("event_id", F.row_number().over(_user(
 op("lag_lead", lambda s, d: _e(s, d).select("event_id", F.lag("event_id").over(_user()).alias("before"), F.lead("event_id", 2).over(_user()).alias("after")), f"SELECT event_id, lag(event_id) OVER w AS before, lead(event_id, 2) OVER w AS after FROM events WINDOW w AS {_SQL}")
 op("first_last", lambda s, d: _e(s, d).select("event_id", F.first("event_id").over(_all()).alias("first"), F.last("event_id").over(_all()).alias("last"), F.nth_value("event_id", 2).over(_all()).alias("second")), f"SELECT event_id, first_value(event_id) OVER w AS first, last_value(event_id) OVER w AS last, nth_value(event_id, 2) OVER w AS second FROM events WINDOW w AS {_SQL[:-1]} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
 op("rows_frame", lambda s, d: _e(s, d).select("event_id", F.count("*").over(_user().rowsBetween(-3, 0)).alias("n"), F.max("event_id").over(_user().rowsBetween(-3, -1)).alias("m")), f"SELECT event_id, count(*) OVER {_SQL[:-1]} ROWS BETWEEN 3 PRECEDING AND CURRENT ROW) AS n, max(event_id) OVER {_SQL[:-1]} ROWS BETWEEN 3 PRECEDING AND 1 PRECEDING) AS m FROM events")
-op("range_frame", lambda s, d: _e(s, d).withColumn("sec", F.unix_timestamp("ts")).select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy("sec").rangeBetween(-86400, 0)).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS n FROM events")
+op("range_frame", lambda s, d: _e(s, d).withColumn("sec", _seconds()).select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy("sec").rangeBetween(-86400, 0)).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS n FROM events")
 op("running_total", lambda s, d: _e(s, d).select("event_id", F.sum(F.lit(1)).over(_user()).alias("n")), f"SELECT event_id, (sum(1) OVER {_SQL})::BIGINT AS n FROM events")
 op("top_k", lambda s, d: _e(s, d).withColumn("rn", F.row_number().over(Window.partitionBy("user_id").orderBy(F.desc("value"), "event_id"))).filter("rn <= 3").select("user_id", "event_id", "rn"), "SELECT user_id, event_id, rn FROM (SELECT user_id, event_id, (row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id))::INTEGER AS rn FROM events) WHERE rn <= 3")
 
 
 def _sessions(s, d):
-    gap = F.unix_timestamp("ts") - F.lag(F.unix_timestamp("ts")).over(_user())
+    gap = _seconds() - F.lag(_seconds()).over(_user())
     marked = _e(s, d).withColumn("new", F.when(gap > 86400, 1).otherwise(0))
     numbered = marked.withColumn("session", F.sum("new").over(_user()))
     return numbered.groupBy("user_id", "session").agg(F.count("*").alias("n"), F.min("event_id").alias("first"))

@@ -2,6 +2,8 @@ import subprocess
 import sys
 from pathlib import Path
 
+import pytest
+
 ROOT = Path(__file__).resolve().parents[1]
 
 
@@ -39,3 +41,24 @@ def test_some_statements_match(spark):
         df = catalog.queries()[name](spark, where)
         want = c.execute(catalog.oracle_sql()[name]).fetchdf()
         assert plain(df.toPandas()) == plain(want), name
+
+
+def events(tmp_path, rows, columns):
+    """An events table of these rows for Spark and for DuckDB."""
+    import duckdb
+
+    c = duckdb.connect()
+    c.execute(f"COPY (SELECT * FROM (VALUES {', '.join(rows)}) v({columns})) TO '{tmp_path}/events.parquet' (FORMAT parquet)")
+    c.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
+    return c
+
+
+@pytest.mark.parametrize("name", ["op_window_range_frame", "op_window_sessions"])
+def test_seconds_are_rounded_as_in_the_statement(spark, tmp_path, name):
+    """A day and fractions of a second apart: truncated seconds are within the day, rounded ones aren't, and the other way round."""
+    from allpairs import catalog
+
+    ends = {1: ("00:00:00.2", "00:00:00.7"), 2: ("00:00:00.7", "00:00:01.4"), 3: ("00:00:00.5", "00:00:01.5"), 4: ("00:00:01.5", "00:00:02.5")}
+    rows = [f"({user * 10 + k}::BIGINT, {user}::BIGINT, 'view', TIMESTAMP '2024-01-0{1 + k} {time}', 1.0::DOUBLE)" for user, times in ends.items() for k, time in enumerate(times)]
+    c = events(tmp_path, rows, "event_id, user_id, event_type, ts, value")
+    assert plain(catalog.queries()[name](spark, str(tmp_path)).toPandas()) == plain(c.execute(catalog.oracle_sql()[name]).fetchdf())
