@@ -62,3 +62,15 @@ def test_seconds_are_rounded_as_in_the_statement(spark, tmp_path, name):
     rows = [f"({user * 10 + k}::BIGINT, {user}::BIGINT, 'view', TIMESTAMP '2024-01-0{1 + k} {time}', 1.0::DOUBLE)" for user, times in ends.items() for k, time in enumerate(times)]
     c = events(tmp_path, rows, "event_id, user_id, event_type, ts, value")
     assert plain(catalog.queries()[name](spark, str(tmp_path)).toPandas()) == plain(c.execute(catalog.oracle_sql()[name]).fetchdf())
+
+
+def test_a_registered_measure_reaches_its_threshold(spark, tmp_path):
+    """(4 / 6 + 4 / 30) / 2 is 0.4, but its fractions add up to less."""
+    from allpairs import catalog
+
+    kept = [(1, k) for k in range(6)] + [(2, k) for k in range(2, 32)]
+    c = events(tmp_path, [f"""({user}::BIGINT, '{{"k": {k}}}')""" for user, k in kept], "user_id, props")
+    name = "pairs_registered_measure_user_props"
+    want = c.execute(catalog.oracle_sql()[name]).fetchdf()
+    assert len(want) == 1
+    assert plain(catalog.queries()[name](spark, str(tmp_path)).toPandas()) == plain(want)
