@@ -256,3 +256,14 @@ def test_late_rows_are_counted(spark, tmp_path):
     assert late_rows(query) == 3 and spark.read.parquet(f"{tmp_path}/out").count() == 5
     counts = spark.readStream.schema("id long, ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in").groupBy(F.dayofmonth("ts").alias("day")).count()
     assert sorted(map(tuple, drained(counts, "update", "t", every="1 second", keys=("day",)).collect())) == [(1, 1), (2, 1), (3, 1), (10, 4), (11, 1)]
+
+
+def test_large_tables_of_totals_are_not_broadcast(tiny, monkeypatch):
+    from allpairs.joining import lookup
+
+    want = sorted(attach(tiny, measures.ruzicka(), joining="lookup").collect())
+    monkeypatch.setattr(lookup, "BROADCAST_BYTES", 100, raising=False)
+    dealt = attach(tiny, measures.ruzicka(), joining="lookup")
+    plan = dealt._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" not in plan and "ShuffledHashJoin" in plan
+    assert sorted(dealt.collect()) == want
