@@ -267,3 +267,51 @@ def test_large_tables_of_totals_are_not_broadcast(tiny, monkeypatch):
     plan = dealt._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" not in plan and "ShuffledHashJoin" in plan
     assert sorted(dealt.collect()) == want
+
+
+def shipped(spark, df):
+    from allpairs.counters import counted
+
+    with counted(spark) as c:
+        n = df().count()
+    return n, c.shuffled_bytes
+
+
+@pytest.mark.parametrize("measure,t", [("ruzicka", 0.1), ("ruzicka", 0.5), ("jaccard", 0.3), ("dice_multiset", 0.4), ("dice_set", 0.4), ("cosine_set", 0.5), ("cosine_multiset", 0.5), ("cosine_vector", 0.6)])
+def test_whole_blocks_agree(skewed, monkeypatch, measure, t):
+    from allpairs.similarity import blocks
+
+    exact = pairs(similarity_join(skewed, measure, t))
+    assert pairs(similarity_join(skewed, measure, t, similarity="blocks")) == exact
+    monkeypatch.setattr(blocks, "BLOCK_ENTITIES", 25)
+    monkeypatch.setattr(blocks, "SLICE", 1000)
+    assert pairs(similarity_join(skewed, measure, t, similarity="blocks")) == exact
+    assert pairs(similarity_join(skewed, measure, t, similarity="blocks", symmetric_output=True)) == exact | {(b, a): v for (a, b), v in exact.items()}
+
+
+def test_dense_vectors_ship_no_pairs(spark, monkeypatch):
+    """All pairs share all elements; signs, strings and values that aren't finite stay what they are."""
+    from allpairs.similarity import blocks
+
+    rng = random.Random(4)
+    rows = [(f"v{e}", x, rng.uniform(-1, 1)) for e in range(300) for x in range(16) if rng.random() < 0.9]
+    raw = spark.createDataFrame(rows, "entity string, element int, mult double").cache()
+    m = measures.cosine("vector", signed=True)
+    exact = pairs(similarity_join(raw, m, 0.5))
+    assert exact and pairs(similarity_join(raw, m, 0.5, similarity="blocks")) == exact
+    n, moved = shipped(spark, lambda: similarity_join(raw, m, 0.5, similarity="blocks"))
+    assert n == len(exact) and moved < shipped(spark, lambda: similarity_join(raw, m, 0.5))[1] / 4
+    monkeypatch.setattr(blocks, "BLOCK_ENTITIES", 2)
+    odd = spark.createDataFrame([(1, 0, math.nan), (1, 1, 1.0), (2, 1, 1.0), (3, 0, math.inf), (3, 2, 2.0), (4, 2, 2.0), (5, 1, 1.0)], "entity long, element int, mult double")
+    show = lambda df: {k: str(v) for k, v in pairs(df).items()}
+    assert show(similarity_join(odd, m, 0.5, similarity="blocks")) == show(similarity_join(odd, m, 0.5)) and (2, 5) in show(similarity_join(odd, m, 0.5, similarity="blocks"))
+    assert similarity_join(raw.limit(0), m, 0.5, similarity="blocks").count() == 0
+    with pytest.raises(measures.UnsupportedMeasure):
+        similarity_join(odd, "union_size", 0.5, similarity="blocks")
+
+
+def test_brute_force_joins_no_cells(skewed, spark):
+    plan = brute_force(skewed, measures.ruzicka(), 0.3)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and "CartesianProduct" not in plan
+    expanded = expand_to_set(skewed.filter("entity < 20"))
+    assert pairs(brute_force(expanded, measures.jaccard(), 0.3)) == pairs(similarity_join(expanded, "jaccard", 0.3))
