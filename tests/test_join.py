@@ -315,3 +315,22 @@ def test_brute_force_joins_no_cells(skewed, spark):
     assert "Join" not in plan and "CartesianProduct" not in plan
     expanded = expand_to_set(skewed.filter("entity < 20"))
     assert pairs(brute_force(expanded, measures.jaccard(), 0.3)) == pairs(similarity_join(expanded, "jaccard", 0.3))
+
+
+@pytest.mark.parametrize("measure", ["ruzicka", "jaccard", "dice_multiset", "dice_set", "cosine_set", "cosine_multiset"])
+def test_blocks_of_near_totals_agree(skewed, monkeypatch, measure):
+    from allpairs.similarity import blocks
+
+    monkeypatch.setattr(blocks, "MEETINGS", 50)
+    for rows in (1 << 20, 200):
+        monkeypatch.setattr(blocks, "PRUNED_ROWS", rows)
+        for t in (0.2, 0.6, 1.0):
+            assert pairs(similarity_join(skewed, measure, t, similarity="blocks", prune=True)) == pairs(similarity_join(skewed, measure, t)), (rows, t)
+
+
+def test_word_lists_ship_no_candidates(spark):
+    """Every two of these share common words, few are alike."""
+    rng = random.Random(9)
+    raw = spark.createDataFrame([(e, f"w{x}", 1) for e in range(400) for x in [*range(20), *rng.sample(range(20, 4000), 60)]], "entity long, element string, mult long").unionByName(spark.createDataFrame([(400 + k, f"w{x}", 1) for k in (0, 1) for x in range(90)], "entity long, element string, mult long")).cache()
+    n, moved = shipped(spark, lambda: similarity_join(raw, "jaccard", 0.5, similarity="blocks", prune=True))
+    assert n == 1 and moved < shipped(spark, lambda: similarity_join(raw, "jaccard", 0.5))[1] / 2
