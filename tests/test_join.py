@@ -334,3 +334,22 @@ def test_word_lists_ship_no_candidates(spark):
     raw = spark.createDataFrame([(e, f"w{x}", 1) for e in range(400) for x in [*range(20), *rng.sample(range(20, 4000), 60)]], "entity long, element string, mult long").unionByName(spark.createDataFrame([(400 + k, f"w{x}", 1) for k in (0, 1) for x in range(90)], "entity long, element string, mult long")).cache()
     n, moved = shipped(spark, lambda: similarity_join(raw, "jaccard", 0.5, similarity="blocks", prune=True))
     assert n == 1 and moved < shipped(spark, lambda: similarity_join(raw, "jaccard", 0.5))[1] / 2
+
+
+def test_numbered_elements_stand_for_their_strings():
+    import pyarrow as pa
+
+    from allpairs.similarity.blocks import _block
+
+    table = pa.table({"common": pa.chunked_array([pa.array([[-32768, 32767], [], [5]], pa.list_(pa.int16()))]), "elements": pa.chunked_array([pa.array([[70_000], [65_536, 800_000], []], pa.list_(pa.int32()))])})
+    ids, mults, starts = _block(table)
+    assert ids.to_pylist() == [0, 65_535, 70_000, 65_536, 800_000, 32_773] and starts.tolist() == [0, 3, 5, 6] and mults.tolist() == [1.0] * 6
+
+
+def test_sets_of_many_strings_keep_them(skewed, monkeypatch):
+    from allpairs.similarity import blocks
+
+    assert blocks.numbered(skewed).select("number").distinct().count() == skewed.select("element").distinct().count()
+    monkeypatch.setattr(blocks, "MOST_NUMBERED", 3)
+    assert blocks.numbered(skewed) is None
+    assert pairs(similarity_join(skewed, "jaccard", 0.4, similarity="blocks", prune=True)) == pairs(similarity_join(skewed, "jaccard", 0.4))
