@@ -353,3 +353,8 @@ def test_sets_of_many_strings_keep_them(skewed, monkeypatch):
     monkeypatch.setattr(blocks, "MOST_NUMBERED", 3)
     assert blocks.numbered(skewed) is None
     assert pairs(similarity_join(skewed, "jaccard", 0.4, similarity="blocks", prune=True)) == pairs(similarity_join(skewed, "jaccard", 0.4))
+
+
+def test_brute_force_skips_cells_without_a_number(spark):
+    raw = spark.createDataFrame([(1, "a", 1), (1, "b", None), (1, "c", 1), (2, "a", 1), (2, "c", 1), (2, None, 1)], "entity long, element string, mult long")
+    assert pairs(brute_force(raw, measures.ruzicka(), 0.1)) == {(1, 2): round(2 / 3, 9)}
