@@ -54,6 +54,9 @@ BLOCK = 1024
 BLOCK_SHINGLES = 1 << 20
 #: Rows of a list that are paired with each other in one task; longer lists are dealt in blocks.
 LIST_BLOCK = 2048
+#: Bits for each row that a bitmap of rows tells, and the width of the longest bitmap's places; beyond, more rows pass it.
+BITS_A_ROW = 16
+WIDEST = 27
 
 
 @dataclass(frozen=True)
@@ -119,6 +122,15 @@ def _sets(docs: DataFrame, k: int, share: int | None, counts_only: bool = False,
     return docs.select("row", "text", "doc_id").mapInArrow(made, "row binary, doc_id long, n long, one long, two long, of long, part array<long>, bits array<long>")
 
 
+def _perhaps_among(rows: DataFrame, some: DataFrame) -> DataFrame:
+    """Rows whose ``row`` may be one of ``some``: all that are, and about one in BITS_A_ROW of the others.  A bitmap is told to every task, so texts stay where they are."""
+    width = min(WIDEST, max(6, (BITS_A_ROW * some.count() - 1).bit_length()))
+    place = F.xxhash64("row").bitwiseAND((1 << width) - 1)
+    words = some.select(F.shiftright(place, 6).alias("word"), place.bitwiseAND(63).alias("bit")).groupBy("word").agg(F.expr("bit_or(shiftleft(1L, cast(bit as int)))").alias("told"))
+    near = rows.withColumn("word", F.shiftright(place, 6)).withColumn("bit", place.bitwiseAND(63)).join(F.broadcast(words), "word")
+    return near.filter("shiftright(told, cast(bit as int)) & 1 = 1").select(*rows.columns)
+
+
 def toggled(elements: np.ndarray) -> np.ndarray:
     """A bitmap in which each element toggles one bit: two bitmaps differ in no more bits than their sets do in elements."""
     odd = np.bincount((elements & np.uint64(64 * BITMAP_WORDS - 1)).astype(np.int64), minlength=64 * BITMAP_WORDS) & 1
@@ -308,8 +320,10 @@ def sets_and_components(docs: DataFrame, k: int = 5, similar: Similarity = Simil
     seen = chosen.groupBy("e").agg(F.min("set_id").alias("set_id"), F.max("set_id").alias("other")).filter("set_id = other").groupBy("set_id").agg(F.count("*").alias("u"))
     left_over = keep(groups.join(seen, "set_id", "left").filter(F.coalesce("u", F.lit(0)) < own).select("set_id", "row", *digest), "left_over")
 
-    again = rows.join(left_over.select("row").distinct(), "row", "left_semi")
-    full = keep(_sets(again, k, None, once=True).join(left_over, ["row", *digest]).select("set_id", "n", F.col("part").alias("elements"), "bits").dropDuplicates(["set_id"]), "full_sets")
+    again = _perhaps_among(rows, left_over)
+    # a set has one row here, so where rows met they are told apart without another move
+    met = _sets(again, k, None, once=True).join(left_over, ["row", *digest]).dropDuplicates(["row", *digest, "set_id"])
+    full = keep(met.select("set_id", "n", F.col("part").alias("elements"), "bits"), "full_sets")
     if boundary is None:
         small = full.filter(F.col("n") <= MOST_LIGHT).groupBy("n").count().collect()
         boundary = choose_boundary({r["n"]: r["count"] for r in small}, similar)

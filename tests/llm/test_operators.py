@@ -192,6 +192,24 @@ def test_jaccard_join_counts_links_by_brute_force(spark, monkeypatch):
     assert sorted((r["doc_id"] or -1, r["n_links"]) for r in found.collect()) == want and max(n for _, n in want) > 7
 
 
+def test_jaccard_join_ships_no_texts(spark):
+    """Long words make large texts of few shingles; what is left over is too large for Spark to broadcast by itself."""
+    from allpairs.counters import counted
+
+    rng = random.Random(6)
+    docs = [(d, " ".join("".join(rng.choices("abcdefghijklmnopqrstuvwxyz0123456789", k=400)) for _ in range(20))) for d in range(200)]
+    docs += [(200 + d, t + " more") for d, t in docs[:40]]
+    df = spark.createDataFrame(docs, "doc_id long, text string").repartition(4).localCheckpoint()
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        with counted(spark) as c:
+            got = {r["doc_id"]: r["component_id"] for r in heavy_light.join(df, 3, heavy_light.Similarity(9, 10)).collect()}
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert got == {d: d - 200 if d >= 200 else d for d, _ in docs}
+    assert c.shuffled_bytes < sum(len(t) for _, t in docs) / 4, c.shuffled_bytes
+
+
 def test_intersections_in_parts():
     rng = np.random.default_rng(1)
     left, right = ([rng.choice(60, n, replace=False).astype(np.int64) for n in rng.integers(1, 30, 9)] for _ in range(2))
