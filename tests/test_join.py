@@ -358,3 +358,36 @@ def test_sets_of_many_strings_keep_them(skewed, monkeypatch):
 def test_brute_force_skips_cells_without_a_number(spark):
     raw = spark.createDataFrame([(1, "a", 1), (1, "b", None), (1, "c", 1), (2, "a", 1), (2, "c", 1), (2, None, 1)], "entity long, element string, mult long")
     assert pairs(brute_force(raw, measures.ruzicka(), 0.1)) == {(1, 2): round(2 / 3, 9)}
+
+
+@pytest.mark.parametrize("measure", ["jaccard", "ruzicka", "dice_set", "cosine_set"])
+def test_prefixes_in_blocks_agree(skewed, monkeypatch, measure):
+    from allpairs.similarity import blocks
+
+    monkeypatch.setattr(blocks, "MEETINGS", 20)
+    for t in (0.2, 0.6, 0.9, 1.0):
+        assert pairs(prefix_replication(skewed, measures.by_name(measure), t, kernel="blocks")) == pairs(similarity_join(skewed, measure, t)), t
+
+
+def test_prefixes_in_blocks_ship_each_record_a_few_times(spark):
+    """Long records: most share nothing that is rare, and copies of them aren't made for each element of a prefix."""
+    rng = random.Random(5)
+    lists = [rng.sample(range(10**6), 400) for _ in range(60)]
+    lists += [[*x[:-3], -1, -2, -3] for x in lists[:20]]
+    raw = spark.createDataFrame([(e, f"x{x}", 1) for e, xs in enumerate(lists) for x in xs], "entity long, element string, mult long").cache()
+    n, moved = shipped(spark, lambda: prefix_replication(raw, measures.jaccard(), 0.9, kernel="blocks"))
+    assert n == 20 and moved < shipped(spark, lambda: prefix_replication(raw, measures.jaccard(), 0.9))[1] / 4
+
+
+def test_registered_prefix_baseline_of_shingles_ships_less_than_its_cells(spark):
+    """Shingles are counted where texts are dealt to, so that their strings don't move for it."""
+    from allpairs.catalog import queries
+    from allpairs.counters import counted
+    from allpairs.workloads import doc_shingles
+
+    rows = doc_shingles(spark, SF).count()
+    with counted(spark) as c:
+        queries()["baseline_prefix_frequency_doc_shingles"](spark, SF).count()
+    assert c.shuffled_bytes < 40 * rows, c.shuffled_bytes / rows
+    dealt = sorted(map(tuple, doc_shingles(spark, SF, dealt=True).collect()))
+    assert dealt == sorted(map(tuple, doc_shingles(spark, SF).collect()))
