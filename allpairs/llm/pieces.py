@@ -21,6 +21,7 @@ import struct
 from array import array
 from collections.abc import Iterator
 from functools import lru_cache
+from math import inf
 
 import numpy as np
 
@@ -97,6 +98,7 @@ class Pieces:
         self.bytes = {int(self.text[k][3:5], 16): k for k, x in enumerate(kinds) if x == BYTE}
         self.byte_of = {k: b for b, k in self.bytes.items()}
         self.control = {k for k, x in enumerate(kinds) if x == CONTROL}
+        self.special = np.array([k in self.byte_of or k in self.control or k == self.unknown for k in range(len(kinds))])
         self.id = {self.text[k]: k for k, x in enumerate(kinds) if x in (NORMAL, USER)}
         self.longest = max(map(len, self.id), default=1)
         least = min((self.scores[k] for k in self.id.values()), default=0.0)
@@ -146,15 +148,24 @@ class Pieces:
         x = code.astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)
         return (x ^ (x >> np.uint64(32))) * np.uint64(0xA0761D6478BD642F)
 
-    def merge(self, text: str) -> list[int]:
-        """Ids by merging the best-scored neighbours first, the leftmost of equals; for short strings."""
-        parts = list(text)
-        while True:
-            found = [(-self.scores[self.id[p + q]], k) for k, (p, q) in enumerate(zip(parts, parts[1:])) if p + q in self.id]
-            if not found:
-                return [self.id.get(p, self.none) for p in parts]
-            k = min(found)[1]
+    def merge(self, text: str, border: int = 0) -> list[int]:
+        """Ids by merging the best-scored neighbours first, the leftmost of equals; for short strings.
+
+        With ``border``, a place in the text, no ids are given (an empty list) once two parts merge across it.
+        """
+        parts, of, scores = list(text), self.id.get, self.scores
+        ends = list(range(1, len(parts)))  # where each part but the last ends
+        costs = [inf if (k := of(p + q)) is None else -scores[k] for p, q in zip(parts, parts[1:])]
+        while costs and (least := min(costs)) != inf:
+            k = costs.index(least)
+            if ends[k] == border:
+                return []
             parts[k : k + 2] = [parts[k] + parts[k + 1]]
+            del costs[k], ends[k]
+            for j in (k - 1, k):
+                if 0 <= j < len(costs):
+                    costs[j] = inf if (m := of(parts[j] + parts[j + 1])) is None else -scores[m]
+        return [of(p, self.none) for p in parts]
 
     def _fit(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         """Whether each pair of pieces is its own encoding."""
@@ -175,7 +186,8 @@ class Pieces:
 
     def _pair(self, key: int) -> bool:
         a, b = divmod(key, self.none + 1)
-        return self.merge(self.text[a] + self.text[b]) == [a, b]
+        both = self.text[a] + self.text[b]
+        return both not in self.id and self.merge(both, len(self.text[a])) == [a, b]  # what is a piece would be merged
 
     # --- search
 
@@ -286,12 +298,12 @@ class Pieces:
             cut.append(self.cut.findall(s) if self.cut and s else [s] if s else [])
         if len(self.known) > MOST_WORDS:
             self.known.clear()
-        new = {w for words in cut for w in words} - self.known.keys()
+        new = set().union(*cut).difference(self.known)
         found = {}
         for some in self._batches(new):
             found |= {w: self._with_bytes(w, p) for w, p in zip(some, self.search(some), strict=True)}
         self.known.update(found)
-        out = [b"".join([self.known[w] for w in words]) for words in cut]
+        out = [b"".join(map(self.known.__getitem__, words)) for words in cut]
         for w in found:
             if len(w) > LONGEST_KNOWN:
                 del self.known[w]
@@ -310,8 +322,17 @@ class Pieces:
             yield some
 
     def decode(self, ids: np.ndarray) -> str:
-        out, pending = [], bytearray()
-        for k in ids.tolist():
+        out, pending, at = [], bytearray(), 0
+        for special in [*np.flatnonzero(self.special[ids]).tolist(), len(ids)]:
+            if special > at:
+                if pending:
+                    out.append(pending.decode("utf-8", "replace"))
+                    pending.clear()
+                out += map(self.text.__getitem__, ids[at:special].tolist())
+            at = special + 1
+            if special == len(ids):
+                break
+            k = int(ids[special])
             if k in self.byte_of:
                 pending.append(self.byte_of[k])
                 continue
@@ -319,7 +340,7 @@ class Pieces:
                 out.append(pending.decode("utf-8", "replace"))
                 pending.clear()
             if k not in self.control:
-                out.append(" ⁇ " if k == self.unknown else self.text[k])
+                out.append(" ⁇ ")
         if pending:
             out.append(pending.decode("utf-8", "replace"))
         text = "".join(out)

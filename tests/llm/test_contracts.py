@@ -114,6 +114,32 @@ def test_unigram_search_equals_the_library(spark, tmp_path):
     assert same > 0.9 * len(texts)
 
 
+def test_pairs_of_pieces_stop_at_their_border():
+    """Pairs are tested without merging on after a merge across their border, with the result of whole merging; all kinds of ids are decoded."""
+    path = tokens.model_path("piece_bpe_32k.model")
+    own = pieces.Pieces(path)
+    rng = random.Random(5)
+
+    def plain(text):
+        parts = list(text)
+        while found := [(-own.scores[own.id[p + q]], k) for k, (p, q) in enumerate(zip(parts, parts[1:])) if p + q in own.id]:
+            k = min(found)[1]
+            parts[k : k + 2] = [parts[k] + parts[k + 1]]
+        return [own.id.get(p, own.none) for p in parts]
+
+    ids = list(own.id.values())
+    for a, b in [(rng.choice(ids), rng.choice(ids)) for _ in range(500)] + [(own.id["t"], own.id["h"])]:
+        text = own.text[a] + own.text[b]
+        whole = plain(text)
+        assert own.merge(text) == whole
+        assert own.merge(text, len(own.text[a])) in (whole, [])
+        assert own._pair(a * (own.none + 1) + b) == (whole == [a, b])
+    assert own.merge("th", 1) == []
+    text = "日本 x 𝄞\u0001 end"
+    assert own.decode(np.frombuffer(own.encode([text])[0], "<u4")) == text
+    assert own.decode(np.array([min(own.control), own.id["t"], own.unknown, own.id["h"]])) == "t ⁇ h"
+
+
 def test_words_of_any_length_advance_together():
     import sentencepiece
 
